@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from partnet.queries import info_queries, solver_queries
+from partnet.queries import info_queries, solver_queries, surface_queries, text_queries
 
-MODULES = (info_queries, solver_queries)
+MODULES = (info_queries, solver_queries, text_queries, surface_queries)
 Query = Callable[[SparkSession, str], DataFrame]
 
 

@@ -128,7 +128,7 @@ def solve_panel(joint: DataFrame, spec: BottleneckSpec, settings: dict[str, dict
 def endpoints(joint: DataFrame, a: str, b: str) -> DataFrame:
     """The ends of every curve: one cluster keeps nothing, no compression keeps all."""
     whole = mutual_info(joint, [a], [b])
-    return whole.select(F.inline(F.array(F.struct(F.lit("one cluster").alias("end"), F.lit(0.0).alias("information"), F.lit(0.0).alias("fraction")), F.struct(F.lit("uncompressed"), F.col("mutual_info"), F.lit(1.0)))))
+    return whole.select(F.inline(F.array(F.struct(F.lit("one cluster").alias("end"), F.lit(0.0).alias("information"), F.lit(0.0).alias("fraction")), F.struct(F.lit("uncompressed").alias("end"), F.col("mutual_info").alias("information"), F.lit(1.0).alias("fraction")))))
 
 
 def kmeans_profiles(joint: DataFrame, a: str, b: str, k: int, seed: int = 1) -> DataFrame:
