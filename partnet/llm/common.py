@@ -11,6 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 #: Words of every contract: runs of anything but the ASCII white space below.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
+#: rows that a Python step holds at once
+STEP_ROWS = 1_000
 SPACE_PATTERN = r"[\x20\x09-\x0D]+"
 
 
@@ -51,8 +53,9 @@ def map_rows(df: DataFrame, start: Callable[[], Callable[[pa.RecordBatch], pa.Re
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         step = start()
         for batch in batches:
-            if batch.num_rows and (out := step(batch)) is not None:
-                yield out
+            for at in range(0, batch.num_rows, STEP_ROWS):
+                if (out := step(batch.slice(at, STEP_ROWS))) is not None:
+                    yield out
 
     return df.mapInArrow(run, schema)
 

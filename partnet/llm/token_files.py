@@ -83,7 +83,8 @@ def token_digest(spark: SparkSession, path: str) -> DataFrame:
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
             ids = batch["ids"]
             at = ids.offsets.to_numpy()
-            raw = memoryview(ids.values.to_numpy().astype("<u4").tobytes())
+            raw = memoryview(ids.values[at[0] : at[-1]].to_numpy().astype("<u4").tobytes())
+            at = at - at[0]
             codes = [zlib.crc32(raw[4 * a : 4 * b]) for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
             return pa.RecordBatch.from_arrays([batch["doc_id"], batch["place"], batch["n_tokens"], batch["file"], pa.array(codes, pa.int64())], ["doc_id", "place", "n_tokens", "file", "ids_crc32"])
 
