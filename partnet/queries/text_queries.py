@@ -196,7 +196,7 @@ def permuted_planted(spark, d):
     return cells.select(*[F.col(c).cast("long").alias(c) for c in ("row_pos", "col_pos", "row_cluster", "col_cluster")], F.round("p", 12).alias("p"))
 
 
-PLANTED_RUNS = {f"uniform_{s}": {"seed": s, "noise": "uniform"} for s in range(3)} | {"aligned": {"noise": "spectral"}}
+PLANTED_RUNS = {f"uniform_{s}": {"seed": s, "noise": "uniform", "last": 500.0} for s in range(3)} | {"aligned": {"noise": "spectral", "last": 500.0}}
 
 
 @query()
