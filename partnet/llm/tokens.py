@@ -1,9 +1,12 @@
-"""Token ids of whole texts, word by word from a bounded cache.
+"""Token ids of whole texts, piece by piece from a bounded cache.
 
 A text may be cut at a single space between two other characters without
 changing its ids, for both kinds of vocabulary: pre-tokens never cross such a
-space. Each piece is encoded once by the tokenizers library and kept as packed
-little-endian 32-bit ids, so a text's ids are a join of byte strings.
+space. Latin letters alone are one pre-token; such words go to the library's
+model many at a time, already in the vocabulary's alphabet. A piece of letters,
+digits, ASCII marks and single line ends falls into pre-tokens where the class
+changes. Every other piece goes through the whole tokenizer. Ids are kept as
+packed little-endian 32-bit numbers, so a text's ids are a join of byte strings.
 """
 
 from __future__ import annotations
@@ -12,13 +15,23 @@ import re
 from functools import cache
 
 import numpy as np
-from tokenizers import Tokenizer
+from tokenizers import Tokenizer, pre_tokenizers
 
-CACHE_LIMIT = 350_000
+CACHE_LIMIT = 400_000
 LONG_PIECE = 200
 GROUP_CHARS = 1 << 20
-JOINED = 1_000
-MARK = "\x01"
+JOINED = 2_000
+WORD_END = "</w>"
+#: outside of Latin letters, or (one capital) lower-cased to more than a letter
+beyond_latin = re.compile("[\u0130\u0250-\U0010ffff]").search
+LETTERS, MARKS = "A-Za-zÀ-ÖØ-öø-įı-ɏ", r"!-&(-/:-@\[-`{-~"
+PLAIN = re.compile(f"[{LETTERS}0-9{MARKS}]+(?:\n[{LETTERS}0-9{MARKS}]+)*").fullmatch
+
+
+def byte_alphabet() -> dict[int, int]:
+    """Code points that byte-level vocabularies use for the bytes that are not printable: 256 and on, in byte order."""
+    printable = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    return {b: 256 + i for i, b in enumerate(b for b in range(256) if b not in printable)}
 
 
 def pack(ids: list[int]) -> bytes:
@@ -33,49 +46,99 @@ class MemoEncoder:
         self.tokenizer.encode_special_tokens = True
         self.limit = limit
         self.known: dict[str, bytes] = {}
-        #: byte-level vocabularies keep the space as the first byte of the next piece; the others drop white space
+        self.older: dict[str, bytes] = {}
+        #: pre-tokens that no space precedes
+        self.bare: dict[str, bytes] = {}
+        #: byte-level vocabularies keep the space as the first byte of the next piece; the others drop white space and case
         self.spaced = self.tokenizer.normalizer is None
-        self.cut = re.compile(r"(?<=\S) (?=\S)").split if self.spaced else (lambda text: text.split(" "))
-        if self.spaced:
-            self.token_bytes = np.zeros(self.tokenizer.get_vocab_size(), dtype=np.int64)
-            for token, i in self.tokenizer.get_vocab().items():
-                self.token_bytes[i] = len(token)
-        else:
-            mark = self.ids(MARK)
-            self.mark = mark[0] if len(mark) == 1 else None
+        self.regular = re.compile(r"(?<=\S) (?=\S)").split
+        self.atoms_of = re.compile(f"[{LETTERS}]+|[0-9]{'+' if self.spaced else ''}|[{MARKS}]+{'|\n' if self.spaced else ''}").findall
+        # the same model behind a plain split: words come to it joined by line ends, in the vocabulary's alphabet
+        self.model = Tokenizer(self.tokenizer.model)
+        self.model.pre_tokenizer = pre_tokenizers.Split("\n", "removed")
+        self.alphabet = byte_alphabet()
+        del self.alphabet[10]
+        vocabulary = self.tokenizer.get_vocab()
+        self.token_chars = np.zeros(max(vocabulary.values()) + 1, dtype=np.int64)
+        self.ends_word = np.zeros(self.token_chars.size, dtype=bool)
+        for token, i in vocabulary.items():
+            self.token_chars[i], self.ends_word[i] = len(token), token.endswith(WORD_END)
+
+    def forget(self) -> None:
+        """Gives the caches' memory back; workers live on after a stage."""
+        self.known, self.older, self.bare = {}, {}, {}
 
     def ids(self, text: str) -> list[int]:
         return self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids
 
-    def learn(self, pieces: list[str]) -> dict[str, bytes]:
-        """Ids of pieces, many to a call: the joined ids are cut again by their byte lengths or by a mark."""
-        if self.spaced:
-            lines = ["".join([" " + x for x in pieces[i : i + JOINED]]) for i in range(0, len(pieces), JOINED)]
-        else:
-            lines = [f" {MARK} ".join(pieces[i : i + JOINED]) for i in range(0, len(pieces), JOINED)]
-        out = {}
-        for k, got in enumerate(self.tokenizer.encode_batch_fast(lines, add_special_tokens=False)):
-            part, ids = pieces[k * JOINED : (k + 1) * JOINED], np.array(got.ids, dtype="<u4")
+    def learn_words(self, words: list[str], into: dict[str, bytes], front: str) -> None:
+        """Pre-tokens of Latin letters, digits or marks. Joined ids are cut again where a word ends, or by the characters that tokens cover."""
+        for at in range(0, len(words), JOINED):
+            part = words[at : at + JOINED]
+            line = (front + ("\n" + front).join(part)).encode().decode("latin-1").translate(self.alphabet)
+            ids = np.array(self.model.encode_batch_fast([line], add_special_tokens=False)[0].ids, dtype="<u4")
             if self.spaced:
-                ends = np.searchsorted(np.cumsum(self.token_bytes[ids]), np.cumsum([len(x.encode("utf-8")) + 1 for x in part])) + 1
-                starts = np.concatenate([[0], ends[:-1]])
+                sizes = np.fromiter(map(len, line.split("\n")), dtype=np.int64, count=len(part))
+                ends = np.searchsorted(np.cumsum(self.token_chars[ids]), np.cumsum(sizes)) + 1
             else:
-                ends = np.append(np.flatnonzero(ids == self.mark), ids.size)
-                starts = np.concatenate([[0], ends[:-1] + 1])
-            packed = ids.tobytes()
-            out.update(zip(part, [packed[4 * a : 4 * b] for a, b in zip(starts.tolist(), ends.tolist(), strict=True)], strict=True))
-        return out
+                ends = np.flatnonzero(self.ends_word[ids]) + 1
+            packed, start = ids.tobytes(), 0
+            for word, end in zip(part, (4 * ends).tolist(), strict=True):
+                into[word] = packed[start:end]
+                start = end
+
+    def learn_others(self, pieces: list[str]) -> None:
+        front = " " if self.spaced else ""
+        for at in range(0, len(pieces), JOINED):
+            part = pieces[at : at + JOINED]
+            for x, got in zip(part, self.tokenizer.encode_batch_fast([front + x for x in part], add_special_tokens=False), strict=True):
+                self.known[x] = pack(got.ids)
+
+    def learn(self, fresh: set[str]) -> list[str]:
+        """Adds pieces to the cache; returns those that are not to stay."""
+        known, bare, front = self.known, self.bare, " " if self.spaced else ""
+        words = [x for x in fresh if x.isalpha() and len(x) <= LONG_PIECE]
+        others = fresh.difference(words)
+        if not self.spaced or beyond_latin("\n".join(words)):
+            odd = [x for x in words if beyond_latin(x) or not (self.spaced or x.islower())]
+            others.update(odd)
+            words = list(set(words).difference(odd))
+        mixed = {x: self.atoms_of(x if self.spaced else x.lower()) for x in others if len(x) <= LONG_PIECE and PLAIN(x)}
+        firsts = {x[0] for x in mixed.values() if x and self.spaced}.difference(words)
+        self.learn_words(words + [x for x in firsts if x not in known], known, front)
+        if "\n" not in bare:
+            bare["\n"] = pack(self.ids("\n"))
+        inner = {a for x in mixed.values() for a in (x[1:] if self.spaced else x)}
+        self.learn_words([x for x in inner if x not in bare], bare, "")
+        for piece, atoms in mixed.items():
+            head = [known[atoms[0]]] if self.spaced else [bare[atoms[0]]]
+            known[piece] = b"".join(head + [bare[x] for x in atoms[1:]])
+        left = list(others.difference(mixed))
+        self.learn_others(left)
+        return [x for x in left if len(x) > LONG_PIECE] + [x for x in mixed if "\n" in x]
 
     def group(self, texts: list[str]) -> list[bytes]:
         if len(self.known) > self.limit:
-            self.known.clear()
-        known, cut = self.known, [self.cut(x) for x in texts]
+            self.older, self.known = self.known, {}
+        if len(self.bare) > self.limit // 2:
+            self.bare.clear()
+        if not self.spaced:  # lower case comes first where that is what the library's own mapping gives
+            texts = [x if beyond_latin(x) else x.lower() for x in texts]
+        known, older, cut = self.known, self.older, [x.split(" ") for x in texts]
         heads = [x.pop(0) for x in cut] if self.spaced else []
         fresh = {x for x in set().union(*cut) if x not in known}
-        once = {x for x in fresh if len(x) > LONG_PIECE or (not self.spaced and (MARK in x or self.mark is None))}
-        known.update(self.learn(sorted(fresh - once)))
-        for x in once:
-            known[x] = pack(self.ids(" " + x if self.spaced else x))
+        if self.spaced:
+            # a piece that is empty or has white space at an end may not be cut off there
+            loose = {x for x in fresh if not x or x[0].isspace() or x[-1].isspace()}
+            again = [i for i, (head, x) in enumerate(zip(heads, cut, strict=True)) if x and (not head or head[-1].isspace() or (loose and not loose.isdisjoint(x)))]
+            for i in again:
+                heads[i], *cut[i] = self.regular(texts[i])
+            fresh = fresh - loose | {x for i in again for x in cut[i] if x not in known}
+        if older:
+            kept = {x: older[x] for x in fresh if x in older}
+            known.update(kept)
+            fresh.difference_update(kept)
+        once = self.learn(fresh)
         out = [b"".join(map(known.__getitem__, x)) for x in cut]
         for x in once:
             del known[x]
