@@ -48,7 +48,7 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
 
 
 def map_rows(df: DataFrame, start: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch | None]], schema: str) -> DataFrame:
-    """mapInArrow with per-task state: start() makes the batch function once per task."""
+    """mapInArrow with per-task state: start() makes the batch function once per task; its attribute finish, if any, is called last."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         step = start()
@@ -56,6 +56,7 @@ def map_rows(df: DataFrame, start: Callable[[], Callable[[pa.RecordBatch], pa.Re
             for at in range(0, batch.num_rows, STEP_ROWS):
                 if (out := step(batch.slice(at, STEP_ROWS))) is not None:
                     yield out
+        getattr(step, "finish", lambda: None)()
 
     return df.mapInArrow(run, schema)
 

@@ -30,7 +30,7 @@ from pyspark.sql.window import Window
 from partnet.llm.common import SPACE_PATTERN
 
 NO_ID = (1 << 63) - 1
-TRIE_BYTES = 48 << 20
+TRIE_BYTES = 24 << 20
 NODE_BYTES = 200
 FLUSH_BYTES = 4 << 20
 OWNER_SCHEMA = "n_bytes int, content_hash long, body binary, keep_id long, has_id boolean, group_size long"

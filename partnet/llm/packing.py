@@ -102,6 +102,7 @@ def tokenised_pieces(documents: DataFrame, tokenizer_path: str, end_id: int = 0,
             types = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64()]
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), types, strict=True)], [x.split()[0] for x in PIECE_SCHEMA.split(", ")])
 
+        step.finish = made.forget
         return step
 
     return map_rows(documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), start, PIECE_SCHEMA)

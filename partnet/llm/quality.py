@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from partnet.llm.common import map_rows
 
 TOKENS = re.compile(r"\w+|[^\w\s]+").findall
-CACHE_LIMIT = 300_000
+CACHE_LIMIT = 100_000
 
 
 @dataclass(frozen=True)
