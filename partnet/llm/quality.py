@@ -3,8 +3,10 @@ follow-the-regularised-leader updates and scored as sparse dot products.
 
 Tokens are runs of word characters or runs of punctuation, so marks that stick
 to a word become features of their own. Unigrams and bigrams are hashed into
-`2**bits` slots; a text is the set of its slots, scaled to unit length. Only the
-text is an input of the score.
+`2**bits` slots. Repetition, which no single n-gram shows, has slots as well: the
+share of tokens equal to the one or two places before, and the share of bigrams
+that came before, in tenths. A text is the set of its slots, scaled to unit
+length. Only the text is an input of the score.
 
 Defined results: a null or empty text has no features and gets the model's
 bias; without labelled rows (or with an empty table) the model is all zero and
@@ -30,6 +32,9 @@ from partnet.llm.common import map_rows
 
 TOKENS = re.compile(r"\w+|[^\w\s]+").findall
 CACHE_LIMIT = 100_000
+MIX = np.uint64(0x9E3779B97F4A7C15)
+#: above every token hash
+REPEATS = np.uint64(1 << 40)
 
 
 @dataclass(frozen=True)
@@ -71,10 +76,14 @@ class NgramHasher:
         if not text:
             return np.empty(0, dtype=np.int32)
         h = self.token_hashes(text)
+        if not h.size:
+            return np.empty(0, dtype=np.int32)
         with np.errstate(over="ignore"):
-            one = (h + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15)
-            two = (h[:-1] * np.uint64(0xC2B2AE3D27D4EB4F) + h[1:] + np.uint64(7)) * np.uint64(0x9E3779B97F4A7C15)
-        return np.unique(np.concatenate([one, two]) >> self.shift).astype(np.int32)
+            one = (h + np.uint64(1)) * MIX
+            two = np.unique((h[:-1] * np.uint64(0xC2B2AE3D27D4EB4F) + h[1:] + np.uint64(7)) * MIX)
+            shares = [np.mean(h[gap:] == h[:-gap]) if h.size > gap else 0.0 for gap in (1, 2)] + [1 - two.size / max(1, h.size - 1)]
+            repeats = (np.array([100 * k + int(10 * x) for k, x in enumerate(shares)], dtype=np.uint64) + REPEATS) * MIX
+        return np.unique(np.concatenate([one, two, repeats]) >> self.shift).astype(np.int32)
 
 
 def ftrl_fit(examples: list[tuple[int, np.ndarray]], config: QualityConfig) -> np.ndarray:

@@ -72,6 +72,14 @@ def test_ftrl_separates():
     assert quality.score_text(weights, hasher, "good fine text") > 0.5 > quality.score_text(weights, hasher, "spam !! buy")
 
 
+def test_repetition_has_slots_of_its_own():
+    hasher = quality.NgramHasher(18)
+    assert hasher.slots(" \n").size == hasher.slots("").size == hasher.slots(None).size == 0
+    data = [(0, " ".join([f"v{i}"] * 40)) for i in range(40)] + [(1, " ".join(f"v{(i * j) % 997}" for j in range(1, 41))) for i in range(1, 41)]
+    weights = quality.ftrl_fit([(y, hasher.slots(x)) for y, x in sorted(data, key=lambda x: x[1])], quality.QualityConfig(updates=2_000))
+    assert quality.score_text(weights, hasher, "unseen " * 60) < 0.5 < quality.score_text(weights, hasher, " ".join(f"fresh{k}" for k in range(60)))
+
+
 # --- exact dedup ---
 
 
@@ -169,6 +177,9 @@ def test_memo_encoder_equals_the_library(name, real):
     plain.encode_special_tokens = True
     alphabet = "ab C1'!*\n\t é 日İΣ_<|> \x1c\x01"
     texts = ["", " ", "a ", " a", "a  b", "a\n b", LONG[:5000], "x" * 700 + " y"] + ["".join(rnd.choice(alphabet) for _ in range(rnd.randint(1, 40))) for _ in range(1500)] + [r.text for r in real.limit(50).collect()]
+    ascii_marks = "aZÉßſŉǰ 's'll'D 09!\"#'_`~{}\t\n\r  "
+    texts += ["".join(rnd.choice(ascii_marks) for _ in range(rnd.randint(1, 60))) for _ in range(3000)]
+    texts += ["\n" * 500 + "a", " " * 300, "a" + "\n " * 200, "9" * 400, "!" * 400 + "'s", "l'eau d'Or I'LL we've", "\r\n\r\nx"]
     want = [pack(x.ids) for x in plain.encode_batch(texts, add_special_tokens=False)]
     assert MemoEncoder(public_tokenizers.path(name)).encode_all(texts) == want
     small = MemoEncoder(public_tokenizers.path(name), limit=50)
