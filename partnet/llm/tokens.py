@@ -1,9 +1,12 @@
 """Token ids of whole texts, piece by piece from a bounded cache.
 
-A text may be cut at a single space between two other characters without
+A text of Latin letters, ASCII and ASCII white space is cut into pre-tokens by
+the vocabulary's own rule; new pre-tokens go to the library's model many at a
+time, already in the vocabulary's alphabet.
+
+Any other text may be cut at a single space between two other characters without
 changing its ids, for both kinds of vocabulary: pre-tokens never cross such a
-space. Latin letters alone are one pre-token; such words go to the library's
-model many at a time, already in the vocabulary's alphabet. A piece of letters,
+space. Latin letters alone are one pre-token. A piece of letters,
 digits, ASCII marks and single line ends falls into pre-tokens where the class
 changes. Every other piece goes through the whole tokenizer. Ids are kept as
 packed little-endian 32-bit numbers, so a text's ids are a join of byte strings.
@@ -18,6 +21,7 @@ import numpy as np
 from tokenizers import Tokenizer, pre_tokenizers
 
 CACHE_LIMIT = 400_000
+PIECE_LIMIT = 100_000
 LONG_PIECE = 200
 GROUP_CHARS = 1 << 20
 JOINED = 2_000
@@ -25,6 +29,11 @@ WORD_END = "</w>"
 #: outside of Latin letters, or (one capital) lower-cased to more than a letter
 beyond_latin = re.compile("[\u0130\u0250-\U0010ffff]").search
 LETTERS, MARKS = "A-Za-zÀ-ÖØ-öø-įı-ɏ", r"!-&(-/:-@\[-`{-~"
+beyond_plain = re.compile(f"[^{LETTERS}0-9{MARKS}' \t\n\r]").search
+ENDINGS = "'(?:[stmd]|re|ve|ll)"
+#: pre-tokens of plain texts: with the space before them, or lower-cased and without white space
+SPACED = re.compile(rf"{ENDINGS}| ?(?:[{LETTERS}]+|[0-9]+|[{MARKS}']+)|\s+(?!\S)|\s+").findall
+BARE = re.compile(f"[{LETTERS}]+|{ENDINGS}|[0-9]|[{MARKS}']+").findall
 PLAIN = re.compile(f"[{LETTERS}0-9{MARKS}]+(?:\n[{LETTERS}0-9{MARKS}]+)*").fullmatch
 
 
@@ -45,10 +54,11 @@ class MemoEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.limit = limit
+        #: pieces between spaces, of texts that are not plain
         self.known: dict[str, bytes] = {}
-        self.older: dict[str, bytes] = {}
-        #: pre-tokens that no space precedes
+        #: pre-tokens, in two generations
         self.bare: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
         #: byte-level vocabularies keep the space as the first byte of the next piece; the others drop white space and case
         self.spaced = self.tokenizer.normalizer is None
         self.regular = re.compile(r"(?<=\S) (?=\S)").split
@@ -87,12 +97,11 @@ class MemoEncoder:
                 into[word] = packed[start:end]
                 start = end
 
-    def learn_others(self, pieces: list[str]) -> None:
-        front = " " if self.spaced else ""
+    def learn_others(self, pieces: list[str], into: dict[str, bytes], front: str) -> None:
         for at in range(0, len(pieces), JOINED):
             part = pieces[at : at + JOINED]
             for x, got in zip(part, self.tokenizer.encode_batch_fast([front + x for x in part], add_special_tokens=False), strict=True):
-                self.known[x] = pack(got.ids)
+                into[x] = pack(got.ids)
 
     def learn(self, fresh: set[str]) -> list[str]:
         """Adds pieces to the cache; returns those that are not to stay."""
@@ -114,17 +123,49 @@ class MemoEncoder:
             head = [known[atoms[0]]] if self.spaced else [bare[atoms[0]]]
             known[piece] = b"".join(head + [bare[x] for x in atoms[1:]])
         left = list(others.difference(mixed))
-        self.learn_others(left)
+        self.learn_others(left, known, front)
         return [x for x in left if len(x) > LONG_PIECE] + [x for x in mixed if "\n" in x]
 
+    def plain(self, texts: list[str]) -> list[bytes]:
+        """Texts without a character beyond the plain ones."""
+        cut = [SPACED(x) for x in texts] if self.spaced else [BARE(x.lower()) for x in texts]
+        if len(self.bare) > self.limit:
+            self.older, self.bare = self.bare, {}
+        bare, older = self.bare, self.older
+        fresh = set().union(*cut).difference(bare)
+        if older:
+            kept = {x: older[x] for x in fresh if x in older}
+            bare.update(kept)
+            fresh.difference_update(kept)
+        apart = [x for x in fresh if len(x) > LONG_PIECE or "\n" in x]
+        self.learn_words(list(fresh.difference(apart)), bare, "")
+        self.learn_others(apart, bare, "")
+        out = [b"".join(map(bare.__getitem__, x)) for x in cut]
+        for x in apart:
+            if len(x) > LONG_PIECE:
+                del bare[x]
+        return out
+
     def group(self, texts: list[str]) -> list[bytes]:
-        if len(self.known) > self.limit:
-            self.older, self.known = self.known, {}
-        if len(self.bare) > self.limit // 2:
-            self.bare.clear()
+        odd = [i for i, x in enumerate(texts) if beyond_plain(x)]
+        if not odd:
+            return self.plain(texts)
+        out, others = [b""] * len(texts), set(odd)
+        rest = [i for i in range(len(texts)) if i not in others]
+        for own, made in ((odd, self.pieces([texts[i] for i in odd])), (rest, self.plain([texts[i] for i in rest]))):
+            for i, ids in zip(own, made, strict=True):
+                out[i] = ids
+        return out
+
+    def pieces(self, texts: list[str]) -> list[bytes]:
+        """Any texts, by what lies between their spaces."""
+        if len(self.known) > PIECE_LIMIT:
+            self.known = {}
+        if len(self.bare) > self.limit:
+            self.older, self.bare = self.bare, {}
         if not self.spaced:  # lower case comes first where that is what the library's own mapping gives
             texts = [x if beyond_latin(x) else x.lower() for x in texts]
-        known, older, cut = self.known, self.older, [x.split(" ") for x in texts]
+        known, cut = self.known, [x.split(" ") for x in texts]
         heads = [x.pop(0) for x in cut] if self.spaced else []
         fresh = {x for x in set().union(*cut) if x not in known}
         if self.spaced:
@@ -134,10 +175,6 @@ class MemoEncoder:
             for i in again:
                 heads[i], *cut[i] = self.regular(texts[i])
             fresh = fresh - loose | {x for i in again for x in cut[i] if x not in known}
-        if older:
-            kept = {x: older[x] for x in fresh if x in older}
-            known.update(kept)
-            fresh.difference_update(kept)
         once = self.learn(fresh)
         out = [b"".join(map(known.__getitem__, x)) for x in cut]
         for x in once:
@@ -154,7 +191,9 @@ class MemoEncoder:
             while end < len(texts) and (end == at or held < GROUP_CHARS):
                 held += len(texts[end] or "")
                 end += 1
-            out += self.group([x or "" for x in texts[at:end]])
+            once = dict.fromkeys(x or "" for x in texts[at:end])  # copies often stand side by side
+            once.update(zip(once, self.group(list(once)), strict=True))
+            out += [once[x or ""] for x in texts[at:end]]
             at = end
         return out
 
