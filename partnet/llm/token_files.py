@@ -1,7 +1,7 @@
 """Token ids in ORC: integer run-length encoding, row indexes and Bloom filters on the document id.
 
-Documents are dealt out by ranges of doc_id and sorted before they are encoded,
-so file after file holds ascending ids; each row keeps its place in its file,
+Documents are dealt out by ranges of doc_id, whose bounds are quantiles of the ids
+alone (texts are read once), and sorted before they are encoded, so file after file holds ascending ids; each row keeps its place in its file,
 its number of ids and the ids themselves. Readers take stripes in parallel, and
 the stripe statistics, row indexes and Bloom filters prune lookups by id.
 
@@ -58,9 +58,19 @@ def encode_rows(documents: DataFrame, tokenizer_path: str, end_id: int) -> DataF
     return map_rows(documents.select("doc_id", "text"), start, FILE_SCHEMA)
 
 
+def dealt_by_range(rows: DataFrame) -> DataFrame:
+    """rows in ascending ranges of doc_id, nulls in the first; equal ids stay together."""
+    most = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    shares = [k / most for k in range(1, most)] or [0.5]
+    found = rows.agg(F.percentile_approx("doc_id", shares, 100 * most).alias("bounds")).first()["bounds"]
+    bounds = sorted(set(found or []))
+    below = F.array(*[F.lit(x).cast("long") for x in bounds]) if bounds else F.array().cast("array<long>")
+    return rows.repartitionById(len(bounds) + 1, F.coalesce(F.size(F.filter(below, lambda x: x <= F.col("doc_id"))), F.lit(0)))
+
+
 def write_token_files(documents: DataFrame, path: str, tokenizer_path: str, end_id: int = 2) -> None:
-    ordered = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id")
-    encode_rows(ordered, tokenizer_path, end_id).write.options(**ORC_OPTIONS).orc(path)
+    rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    encode_rows(dealt_by_range(rows).sortWithinPartitions("doc_id"), tokenizer_path, end_id).write.options(**ORC_OPTIONS).orc(path)
 
 
 def read_token_files(spark: SparkSession, path: str) -> DataFrame:
