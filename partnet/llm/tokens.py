@@ -14,6 +14,7 @@ packed little-endian 32-bit numbers, so a text's ids are a join of byte strings.
 
 from __future__ import annotations
 
+import codecs
 import re
 from functools import cache
 
@@ -23,7 +24,7 @@ from tokenizers import Tokenizer, pre_tokenizers
 CACHE_LIMIT = 400_000
 PIECE_LIMIT = 100_000
 LONG_PIECE = 200
-GROUP_CHARS = 1 << 20
+GROUP_CHARS = 1 << 21
 JOINED = 2_000
 WORD_END = "</w>"
 #: outside of Latin letters, or (one capital) lower-cased to more than a letter
@@ -66,8 +67,7 @@ class MemoEncoder:
         # the same model behind a plain split: words come to it joined by line ends, in the vocabulary's alphabet
         self.model = Tokenizer(self.tokenizer.model)
         self.model.pre_tokenizer = pre_tokenizers.Split("\n", "removed")
-        self.alphabet = byte_alphabet()
-        del self.alphabet[10]
+        self.alphabet = "".join("\n" if b == 10 else chr(byte_alphabet().get(b, b)) for b in range(256))
         vocabulary = self.tokenizer.get_vocab()
         self.token_chars = np.zeros(max(vocabulary.values()) + 1, dtype=np.int64)
         self.ends_word = np.zeros(self.token_chars.size, dtype=bool)
@@ -85,7 +85,7 @@ class MemoEncoder:
         """Pre-tokens of Latin letters, digits or marks. Joined ids are cut again where a word ends, or by the characters that tokens cover."""
         for at in range(0, len(words), JOINED):
             part = words[at : at + JOINED]
-            line = (front + ("\n" + front).join(part)).encode().decode("latin-1").translate(self.alphabet)
+            line, _ = codecs.charmap_decode((front + ("\n" + front).join(part)).encode(), "strict", self.alphabet)
             ids = np.array(self.model.encode_batch_fast([line], add_special_tokens=False)[0].ids, dtype="<u4")
             if self.spaced:
                 sizes = np.fromiter(map(len, line.split("\n")), dtype=np.int64, count=len(part))
@@ -138,7 +138,8 @@ class MemoEncoder:
             bare.update(kept)
             fresh.difference_update(kept)
         apart = [x for x in fresh if len(x) > LONG_PIECE or "\n" in x]
-        self.learn_words(list(fresh.difference(apart)), bare, "")
+        fresh.difference_update(apart)
+        self.learn_words(list(fresh), bare, "")
         self.learn_others(apart, bare, "")
         out = [b"".join(map(bare.__getitem__, x)) for x in cut]
         for x in apart:
