@@ -30,13 +30,11 @@ def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group stays: the one with the smallest id. Rows without an id can't be named and go.
+    """One row of each near-duplicate group stays: that with the smallest id, of several the one with the smallest text hash. Null ids come last.
 
     Texts are linked from a Jaccard similarity of 0.8 of their five-word shingles on, which no affordable radius of 64-bit fingerprints covers.
     """
-    groups = shingle_links.similar_groups(docs).select("doc_id", "root")
-    keep = groups.groupBy("root").agg(F.min("doc_id").alias("doc_id")).select("doc_id").distinct()
-    return docs.join(keep, "doc_id", "left_semi").select(*docs.columns)
+    return shingle_links.one_of_each(docs).select(*docs.columns)
 
 
 def mix_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -70,20 +70,22 @@ def cell_loads(documents: DataFrame, shingle: int = 5) -> np.ndarray:
 
 
 def keyed(documents: DataFrame, shingle: int = 5) -> DataFrame:
-    """(uid, doc_id, text, node, n, prefix): node stands for the shingle set, uid for the row."""
+    """The documents' columns with uid, node, n and prefix: node stands for the shingle set, uid for the row."""
     loads = cell_loads(documents, shingle)
+    columns = documents.columns
 
     def start():
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
             sets = [shingle_set(x, shingle) for x in texts_as_bytes(batch["text"])]
             nodes = np.array([xxhash.xxh3_64_intdigest(x.tobytes()) for x in sets], dtype=np.uint64).view(np.int64)
             prefixes = pa.array([prefix_of(x, loads).view(np.int64) for x in sets], pa.list_(pa.int64()))
-            return pa.RecordBatch.from_arrays([batch["uid"], batch["doc_id"], batch["text"], pa.array(nodes), pa.array([x.size for x in sets], pa.int64()), prefixes], ["uid", "doc_id", "text", "node", "n", "prefix"])
+            made = [pa.array(nodes), pa.array([x.size for x in sets], pa.int64()), prefixes]
+            return pa.RecordBatch.from_arrays([batch[c] for c in columns] + [batch["uid"], *made], [*columns, "uid", "node", "n", "prefix"])
 
         return step
 
-    rows = documents.select(F.monotonically_increasing_id().alias("uid"), F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return map_rows(rows, start, "uid long, doc_id long, text string, node long, n long, prefix array<long>")
+    types = ", ".join(f"`{c}` {t}" for c, t in documents.dtypes)
+    return map_rows(documents.withColumn("uid", F.monotonically_increasing_id()), start, f"{types}, uid long, node long, n long, prefix array<long>")
 
 
 def checked(pairs: DataFrame, rows: DataFrame, shingle: int = 5) -> DataFrame:
@@ -153,7 +155,16 @@ def node_roots(rows: DataFrame, shingle: int = 5, small: int = SMALL) -> DataFra
 
 
 def similar_groups(documents: DataFrame, shingle: int = 5, small: int = SMALL) -> DataFrame:
-    """Per document: uid, doc_id, text, root: one root for each component of similar texts."""
+    """The documents with uid, which tells rows apart, and root: one for each component of similar texts."""
     rows = materialize(keyed(documents, shingle), "near-rows")
     roots = node_roots(rows, shingle, small)
-    return rows.join(roots, "node", "left").select("uid", "doc_id", "text", F.coalesce("root", "node").alias("root"))
+    return rows.join(roots, "node", "left").select(*documents.columns, "uid", F.coalesce("root", "node").alias("root"))
+
+
+def one_of_each(documents: DataFrame, shingle: int = 5) -> DataFrame:
+    """One row of each component: least by id (null last), then by text hash. Only ids and hashes are ranked, by pre-aggregated minima."""
+    rows = materialize(keyed(documents, shingle), "near-rows")
+    rank = F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", F.xxhash64("text").alias("h"), "uid")
+    least = rows.groupBy("node").agg(F.min(rank).alias("least"))
+    roots = least.join(node_roots(rows, shingle), "node", "left").groupBy(F.coalesce("root", "node").alias("root")).agg(F.min("least").alias("least"))
+    return rows.join(roots.select(F.col("least.uid").alias("uid")), "uid", "left_semi").select(*documents.columns)

@@ -82,3 +82,15 @@ def test_a_border_pair_goes_and_a_looser_one_stays(spark):
     assert sims[0] == 0.8 > sims[1]
     docs = spark.createDataFrame([(k, t, "en", "s", 0) for k, t in enumerate(texts)], SCHEMA)
     assert sorted(r.doc_id for r in corpus_pipeline.near_stage(spark, docs, "").collect()) == [0, 2]
+
+
+def test_rows_without_an_id_and_with_a_shared_one(spark):
+    """A null-id text that is nobody's copy stays, a group of null ids keeps one, as do near copies with the same id."""
+    words = [f"w{k}" for k in range(60)]
+    near = lambda k, tag: " ".join(words[:-1] + [f"{tag}{k}"])
+    other = lambda tag: " ".join(f"{tag}{k}" for k in range(60))
+    rows = [(None, other("a")), (None, other("b")), (None, other("b") + " x"), (None, near(0, "m")), (4, near(1, "m")), (7, other("c")), (7, other("c") + " x"), (8, other("d")), (8, other("e")), (None, "same"), (None, "same")]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in rows], SCHEMA)
+    got = sorted(((r.doc_id, brute_groups([t for _, t in rows])[[t for _, t in rows].index(r.text)]) for r in corpus_pipeline.near_stage(spark, docs, "").collect()), key=str)
+    assert got == sorted([(None, 0), (None, 1), (4, 3), (7, 5), (8, 7), (8, 8), (None, 9)], key=str)
+    assert len({tuple(r) for r in corpus_pipeline.near_stage(spark, docs.repartition(4), "").collect()} ^ {tuple(r) for r in corpus_pipeline.near_stage(spark, docs, "").collect()}) == 0
