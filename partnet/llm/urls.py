@@ -31,14 +31,19 @@ RULES = (
     ("net/es/", "block"),
     ("net/fr/", "block"),
 )
-#: the list behind the method's own verdict: sites that are unwanted as a whole
-LISTED = (
-    "ads-track.example.org/",
-    "casino-win.example.org/",
-    "cheap-pills.example.com/",
-    "free-bets.example.com/",
-    "spam-farm.example.org/",
+#: sites that are unwanted as a whole, under whatever top-level domain
+SITES = ("ads-track.example", "adult-x.example", "casino-win.example", "cheap-pills.example", "free-bets.example", "spam-farm.example")
+#: the generic top-level domains in common use and those of countries
+TLDS = tuple(
+    (
+        "com net org edu gov mil int info biz name pro aero coop museum jobs mobi travel tel cat asia post xxx app blog club cloud dev fun icu life live news online page shop site space store stream tech today top vip website win work world xyz "
+        "ac ad ae af ag ai al am ao aq ar as at au aw ax az ba bb bd be bf bg bh bi bj bm bn bo br bs bt bv bw by bz ca cc cd cf cg ch ci ck cl cm cn co cr cu cv cw cx cy cz de dj dk dm do dz ec ee eg er es et eu fi fj fk fm fo fr "
+        "ga gb gd ge gf gg gh gi gl gm gn gp gq gr gs gt gu gw gy hk hm hn hr ht hu id ie il im in io iq ir is it je jm jo jp ke kg kh ki km kn kp kr kw ky kz la lb lc li lk lr ls lt lu lv ly ma mc md me mg mh mk ml mm mn mo mp mq mr ms mt mu mv mw mx my mz "
+        "na nc ne nf ng ni nl no np nr nu nz om pa pe pf pg ph pk pl pm pn pr ps pt pw py qa re ro rs ru rw sa sb sc sd se sg sh si sj sk sl sm sn so sr ss st su sv sx sy sz tc td tf tg th tj tk tl tm tn to tr tt tv tw tz ua ug uk us uy uz va vc ve vg vi vn vu wf ws ye yt za zm zw"
+    ).split()
 )
+#: the list behind the method's own verdict
+LISTED = tuple(f"{site}.{tld}/" for site in SITES for tld in TLDS)
 BROADCAST_BYTES = 128 << 20
 BLOCK_BITS = 256
 BITS_PER_KEY = 16
@@ -53,8 +58,9 @@ def url_parts(url: Column) -> tuple[Column, Column]:
 def entries(spark: SparkSession, rules: tuple[tuple[str, str], ...], listed: tuple[str, ...]) -> DataFrame:
     """(key, verdict, is_rule) of short lists. Long ones come as a table of the same columns."""
     rows = [F.struct(F.lit(k).alias("key"), F.lit(v).alias("verdict"), F.lit(True).alias("is_rule")) for k, v in rules]
-    rows += [F.struct(F.lit(k).alias("key"), F.lit("block").alias("verdict"), F.lit(False).alias("is_rule")) for k in listed]
-    return spark.range(1).select(F.inline(F.array(*rows))) if rows else spark.range(0).select(F.lit("").alias("key"), F.lit("").alias("verdict"), F.lit(True).alias("is_rule"))
+    ruled = spark.range(1).select(F.inline(F.array(*rows))) if rows else spark.range(0).select(F.lit("").alias("key"), F.lit("").alias("verdict"), F.lit(True).alias("is_rule"))
+    sites = F.explode(F.split(F.lit("\n".join(listed)), "\n")).alias("key")
+    return ruled.unionByName(spark.range(1).select(sites, F.lit("block").alias("verdict"), F.lit(False).alias("is_rule"))) if listed else ruled
 
 
 def bloom_bits(key: Column, blocks: int) -> tuple[Column, list[Column]]:
