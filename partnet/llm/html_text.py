@@ -7,8 +7,10 @@ and the lines above the threshold are content. Content decides the region: the
 articles (or main element) that hold content lines, or, without such elements,
 everything between the first and last content line. Lines in navigation,
 headers, footers, asides, forms, scripts, styles and in elements whose class or
-id names an advert, notice, sidebar, menu or comment never belong to it. Within
-the region every remaining line is kept, short ones too.
+id names an advert, notice, sidebar, menu or comment never belong to it. Names
+are whole tokens or compounds of known words, and headings have none; an article
+or main on or under such a name counts if the page has no other and less text
+elsewhere. Within the region every remaining line is kept, short ones too.
 
 Defined results: null and empty pages give an empty text, as do pages without
 any text outside of boilerplate; unclosed and stray tags are tolerated; repeated
@@ -38,24 +40,42 @@ REGION = frozenset(("article", "main"))
 IMPLIED = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 CLOSES_P = BLOCKS - {"body", "html", "head", "title", "option", "optgroup", "legend", "li", "td", "th", "tr", "tbody", "thead", "tfoot", "summary", "dd", "dt"}
 SCOPES = frozenset("ul ol dl table select body html article section div main aside nav td th".split())
-BOILERPLATE = re.compile(
-    r"(?:^|[\s_-])(?:ads?|adverts?|advertisement|advertising|sponsor(?:ed)?|promo(?:tion)?|banner|sidebar|side-bar|menu|nav|navbar|navigation|breadcrumbs?|footer|masthead|site-header|page-header|cookies?|consent|gdpr|notice|notices|disclaimer|popup|modal|overlay|newsletter|subscribe|signup|share|sharing|social|related|recommended|comments?|comment-list|disqus|replies|reply|widget|toolbar|pagination|pager)(?:$|[\s_-])",
-    re.IGNORECASE,
+#: class, id and role tokens that name boilerplate, alone or in a compound with each other and with the words below
+BOILERPLATE = frozenset(
+    "ad ads advert adverts advertisement advertising sponsor sponsored promo promotion banner sidebar menu nav navbar navigation breadcrumb breadcrumbs footer masthead cookie cookies consent gdpr notice notices disclaimer popup modal overlay newsletter subscribe signup share sharing social related recommended comment comments disqus replies reply widget toolbar pagination pager".split()
 )
+COMPOUNDS = frozenset(("site-header", "side-bar"))
+NEUTRAL = frozenset(
+    "site main page top bottom left right primary secondary global box area list block wrap wrapper container section bar inner outer link links button buttons icon icons post posts article articles item items story stories slot unit zone form message text title thread media google dfp".split()
+)
+HEADINGS = frozenset(("h1", "h2", "h3", "h4", "h5", "h6"))
+
+
+def names_boilerplate(marks: str) -> bool:
+    """Whether a whole token does; has-sidebar, comments-open and share-price say something about an element, not what it is."""
+    for token in marks.lower().split():
+        parts = [x for x in re.split(r"[_-]+", token) if x and not x.isdigit()]
+        if token.replace("_", "-") in COMPOUNDS or (any(x in BOILERPLATE for x in parts) and all(x in BOILERPLATE or x in NEUTRAL for x in parts)):
+            return True
+    return False
+
+
+#: dropped by the name of an element on or above the region, or by anything else
+BY_NAME, WHOLLY = 1, 2
 
 
 class PageLines(HTMLParser):
-    """Lines of a page: (text, tags met since the last line, element of the region or 0, dropped)."""
+    """Lines of a page: (text, tags met since the last line, element of the region or 0, dropped: 0, BY_NAME or WHOLLY)."""
 
     def __init__(self):
         super().__init__(convert_charrefs=True)
-        self.open: list[tuple[str, bool, int, bool]] = []  # tag, dropped, region, opened a line
-        self.lines: list[tuple[str, int, int, bool]] = []
+        self.open: list[tuple[str, int, int, bool]] = []  # tag, dropped, region, opened a line
+        self.lines: list[tuple[str, int, int, int]] = []
         self.parts: list[str] = []
         self.tags = self.regions = 0
 
-    def state(self) -> tuple[bool, int]:
-        return self.open[-1][1:3] if self.open else (False, 0)
+    def state(self) -> tuple[int, int]:
+        return self.open[-1][1:3] if self.open else (0, 0)
 
     def end_line(self) -> None:
         text = " ".join("".join(self.parts).split())
@@ -77,11 +97,14 @@ class PageLines(HTMLParser):
         self.close_implied(tag)
         dropped, region = self.state()
         marks = " ".join(v for k, v in attrs if k in ("class", "id", "role") and v)
-        names = bool(marks) and tag not in ("html", "body") and bool(BOILERPLATE.search(marks))
-        dropped = dropped or tag in DROPPED or names or (tag == "header" and not region) or any(k == "hidden" for k, _ in attrs)
+        names = bool(marks) and tag not in ("html", "body") and tag not in HEADINGS and names_boilerplate(marks)
+        if tag in DROPPED or (names and region) or (tag == "header" and not region) or any(k == "hidden" for k, _ in attrs):
+            dropped = WHOLLY
+        elif names:
+            dropped = max(dropped, BY_NAME)
         if names and not block:
             self.end_line()
-        if tag in REGION and not dropped and not region:
+        if tag in REGION and dropped < WHOLLY and not region:
             self.regions += 1
             region = self.regions
         self.open.append((tag, dropped, region, block or names))
@@ -159,13 +182,19 @@ def split_level(values: np.ndarray) -> float:
 
 def main_text(html: str | None, sigma: float = 1.5) -> str:
     lines = page_lines(html) if html else []
-    if not lines or all(x[3] for x in lines):
+    if not lines:
+        return ""
+    own = np.array([not x[3] for x in lines])
+    region = np.array([x[2] for x in lines])
+    named = np.array([x[3] == BY_NAME for x in lines]) & (region > 0)
+    size = np.array([len(x[0]) for x in lines])
+    if not (own & (region > 0)).any() and size[named].sum() > size[own].sum():
+        own = named  # the page's only region lies in a wrapper with such a name
+    if not own.any():
         return ""
     ratio = np.log1p(np.array([len(text) / max(1, tags) for text, tags, _, _ in lines]))
     smoothed = smooth(ratio, sigma)
     content = smoothed >= split_level(smoothed)
-    own = np.array([not x[3] for x in lines])
-    region = np.array([x[2] for x in lines])
     if (own & (region > 0)).any():
         mass: dict[int, float] = {}
         for k in np.flatnonzero(own & (region > 0)):
