@@ -309,3 +309,10 @@ def agglomerate_turn_role(spark, d):
     return spark.createDataFrame(steps, "step long, kept string, merged string, loss double").select("step", "kept", "merged", rounded("loss").alias("loss"))
 
 
+@query()
+def agglomerate_turn_role_whole(spark, d):
+    """Every merge down to one cluster, whatever the number of turns; the query above has the five that its SQL unrolls."""
+    steps = bottom_up.agglomerate(turn_role(spark, d), *TR, 1)
+    return spark.createDataFrame(steps, "step long, kept string, merged string, loss double").select("step", "kept", "merged", rounded("loss").alias("loss"))
+
+
