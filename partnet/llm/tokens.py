@@ -8,8 +8,9 @@ Any other text may be cut at a single space between two other characters without
 changing its ids, for both kinds of vocabulary: pre-tokens never cross such a
 space. Latin letters alone are one pre-token. A piece of letters,
 digits, ASCII marks and single line ends falls into pre-tokens where the class
-changes. Every other piece goes through the whole tokenizer. Ids are kept as
-packed little-endian 32-bit numbers, so a text's ids are a join of byte strings.
+changes. Every other piece, and any text with a special token's string in it,
+goes through the whole tokenizer. Ids are kept as packed little-endian 32-bit
+numbers, so a text's ids are a join of byte strings.
 """
 
 from __future__ import annotations
@@ -27,9 +28,12 @@ LONG_PIECE = 200
 GROUP_CHARS = 1 << 21
 JOINED = 2_000
 WORD_END = "</w>"
-#: outside of Latin letters, or (one capital) lower-cased to more than a letter
-beyond_latin = re.compile("[\u0130\u0250-\U0010ffff]").search
-LETTERS, MARKS = "A-Za-zÀ-ÖØ-öø-įı-ɏ", r"!-&(-/:-@\[-`{-~"
+LATIN_END = 0x250
+#: capitals below LATIN_END that are lower-cased to something beyond it
+STRAYS = "".join(x for x in map(chr, range(LATIN_END)) if any(ord(y) >= LATIN_END for y in x.lower()))
+beyond_latin = re.compile(f"[{STRAYS}{chr(LATIN_END)}-\U0010ffff]").search
+LETTERS = "A-Za-z" + "".join(x for x in map(chr, range(0xC0, LATIN_END)) if x.isalpha() and x not in STRAYS)
+MARKS = r"!-&(-/:-@\[-`{-~"
 beyond_plain = re.compile(f"[^{LETTERS}0-9{MARKS}' \t\n\r]").search
 ENDINGS = "'(?:[stmd]|re|ve|ll)"
 #: pre-tokens of plain texts: with the space before them, or lower-cased and without white space
@@ -49,11 +53,17 @@ def pack(ids: list[int]) -> bytes:
 
 
 class MemoEncoder:
-    """encode_all(texts) gives each text's ids as packed bytes. Special tokens' strings count as ordinary text."""
+    """encode_all(texts) gives each text's ids as packed bytes, as the library does with add_special_tokens=False.
 
-    def __init__(self, path: str, limit: int = CACHE_LIMIT):
+    The string of a special token is that token, as it is to the library; with strings_as_text it is ordinary text.
+    """
+
+    def __init__(self, path: str, limit: int = CACHE_LIMIT, strings_as_text: bool = False):
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.tokenizer.encode_special_tokens = True  # pieces that are lower-cased here may come to look like such a string
+        added = [] if strings_as_text else [x.content for x in self.tokenizer.get_added_tokens_decoder().values()]
+        self.names_token = re.compile("|".join(map(re.escape, added))).search if added else lambda text: None
+        self.untouched = Tokenizer.from_file(path)
         self.limit = limit
         #: pieces between spaces, of texts that are not plain
         self.known: dict[str, bytes] = {}
@@ -148,12 +158,13 @@ class MemoEncoder:
         return out
 
     def group(self, texts: list[str]) -> list[bytes]:
-        odd = [i for i, x in enumerate(texts) if beyond_plain(x)]
-        if not odd:
+        whole = [i for i, x in enumerate(texts) if self.names_token(x)]
+        odd = [i for i, x in enumerate(texts) if beyond_plain(x) and not self.names_token(x)]
+        if not whole and not odd:
             return self.plain(texts)
-        out, others = [b""] * len(texts), set(odd)
+        out, others = [b""] * len(texts), {*whole, *odd}
         rest = [i for i in range(len(texts)) if i not in others]
-        for own, made in ((odd, self.pieces([texts[i] for i in odd])), (rest, self.plain([texts[i] for i in rest]))):
+        for own, made in ((whole, [pack(x.ids) for x in self.untouched.encode_batch_fast([texts[i] for i in whole], add_special_tokens=False)]), (odd, self.pieces([texts[i] for i in odd])), (rest, self.plain([texts[i] for i in rest]))):
             for i, ids in zip(own, made, strict=True):
                 out[i] = ids
         return out

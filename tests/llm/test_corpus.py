@@ -174,22 +174,61 @@ def test_memo_encoder_equals_the_library(name, real):
 
     rnd = random.Random(3)
     plain = Tokenizer.from_file(public_tokenizers.path(name))
-    plain.encode_special_tokens = True
     alphabet = "ab C1'!*\n\t é 日İΣ_<|> \x1c\x01"
     texts = ["", " ", "a ", " a", "a  b", "a\n b", LONG[:5000], "x" * 700 + " y"] + ["".join(rnd.choice(alphabet) for _ in range(rnd.randint(1, 40))) for _ in range(1500)] + [r.text for r in real.limit(50).collect()]
     ascii_marks = "aZÉßſŉǰ 's'll'D 09!\"#'_`~{}\t\n\r  "
     texts += ["".join(rnd.choice(ascii_marks) for _ in range(rnd.randint(1, 60))) for _ in range(3000)]
+    anywhere = lambda: chr(rnd.choice([32, 32, 10, 39, 65, 97, 0x301, 0x18F, 0x130, rnd.randint(1, 0x24F), rnd.randint(1, 0x2FFF), rnd.randint(0xE000, 0x10FFFF)]))
+    odd = ["<|endoftext|>", "<|startoftext|>", "<|ENDOFTEXT|>", "<|", "Ə", "Ʒ", "Ⱥ"]
+    texts += ["".join(rnd.choice(odd) if rnd.random() < 0.03 else anywhere() for _ in range(rnd.randint(1, 40))) for _ in range(20_000)] + ["Əli", "Ʒ", "Ə 日"]
     texts += ["\n" * 500 + "a", " " * 300, "a" + "\n " * 200, "9" * 400, "!" * 400 + "'s", "l'eau d'Or I'LL we've", "\r\n\r\nx"]
     want = [pack(x.ids) for x in plain.encode_batch(texts, add_special_tokens=False)]
     assert MemoEncoder(public_tokenizers.path(name)).encode_all(texts) == want
     small = MemoEncoder(public_tokenizers.path(name), limit=50)
     assert small.encode_all(texts[:800]) + small.encode_all(texts[800:]) == want
+    plain.encode_special_tokens = True
+    assert MemoEncoder(public_tokenizers.path(name), strings_as_text=True).encode_all(texts) == [pack(x.ids) for x in plain.encode_batch(texts, add_special_tokens=False)]
+
+
+LIBRARY = {name: Tokenizer.from_file(public_tokenizers.path(name)) for name in ("byte_bpe_50k.json", "word_bpe_49k.json")}
 
 
 def ids_of(name, text, end):
-    t = Tokenizer.from_file(public_tokenizers.path(name))
-    t.encode_special_tokens = True
-    return [*t.encode(text or "", add_special_tokens=False).ids, end]
+    return [*LIBRARY[name].encode(text or "", add_special_tokens=False).ids, end]
+
+
+def test_whole_table_of_token_files_and_pieces(spark, sf, real):
+    """op4 and op6 over all documents against plain calls of the library, and sequences against best-fit over single pieces."""
+    texts = {r.doc_id: r.text for r in real.collect()}
+    at = 0
+    for r in sorted(QUERIES["op6_token_files"](spark, sf).collect(), key=lambda r: r.doc_id):
+        ids = ids_of("word_bpe_49k.json", texts[r.doc_id], 2)
+        assert (r.start, r.n_tokens, r.ids_crc32) == (at, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
+        at += len(ids)
+    rows = QUERIES["op4_best_fit_packing"](spark, sf).collect()
+    pieces: dict = {}
+    for r in rows:
+        pieces.setdefault(r.doc_id, []).append(r)
+    lengths = []
+    for i, text in texts.items():
+        ids, done = ids_of("byte_bpe_50k.json", text, 0), 0
+        for k, r in enumerate(sorted(pieces[i], key=lambda r: r.piece)):
+            assert (r.piece, r.start, r.ids_crc32) == (k, done, zlib.crc32(np.array(ids[done : done + r.length], "<u4").tobytes()))
+            lengths.append(r.length)
+            done += r.length
+        assert done == len(ids)
+    assert len({r.sequence_id for r in rows}) == plain_best_fit(lengths, 2048)
+
+
+def plain_best_fit(lengths, capacity):
+    free: list[int] = []
+    for n in sorted(lengths, reverse=True):
+        fits = [x for x in free if x >= n]
+        if fits:
+            free[free.index(min(fits))] -= n
+        else:
+            free.append(capacity - n)
+    return len(free)
 
 
 def test_packing(docs, empty):
@@ -225,14 +264,7 @@ def test_best_fit_plan_against_documents():
     rng = np.random.default_rng(1)
     lengths = rng.integers(1, 60, 400)
     rows, opened = packing.best_fit_plan({int(n): int(c) for n, c in zip(*np.unique(lengths, return_counts=True), strict=True)}, 64)
-    free: list[int] = []
-    for n in sorted(lengths.tolist(), reverse=True):
-        fits = [x for x in free if x >= n]
-        if fits:
-            free[free.index(min(fits))] -= n
-        else:
-            free.append(64 - n)
-    assert opened == len(free)
+    assert opened == plain_best_fit(lengths.tolist(), 64)
     assert sum(r.count for r in rows) == 400
 
 
