@@ -32,7 +32,8 @@ def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One row of each near-duplicate group stays: that with the smallest id, of several the one with the smallest text hash. Null ids come last.
 
-    Texts are linked from a Jaccard similarity of 0.8 of their five-word shingles on, which no affordable radius of 64-bit fingerprints covers.
+    Texts are linked from a Jaccard similarity of 0.8 of their five-word shingles on. The fingerprint search of operator 5 finds most
+    candidates; no affordable radius of 64 bits covers all, so shared prefixes add the rest, and every candidate is checked on its whole sets.
     """
     return shingle_links.one_of_each(docs).select(*docs.columns)
 

@@ -52,8 +52,8 @@ def shingle_hashes(text: bytes, shingle: int = 4, seed: int = 42) -> np.ndarray:
     return np.array([h(joined[a : b - 1], seed) for a, b in zip(starts, ends[shingle - 1 :], strict=True)], dtype=np.uint64)
 
 
-def fingerprint(text: bytes, shingle: int = 4, seed: int = 42) -> int:
-    hashes = shingle_hashes(text, shingle, seed)
+def majority_bits(hashes: np.ndarray) -> int:
+    """Bits that more than half of the hashes set; zero without any hash."""
     counts = np.zeros(BITS, dtype=np.int64)
     for at in range(0, hashes.size, SLICE):
         part = hashes[at : at + SLICE]
@@ -62,6 +62,10 @@ def fingerprint(text: bytes, shingle: int = 4, seed: int = 42) -> int:
     return int(bits.view("<u8")[0]) if hashes.size else 0
 
 
+def fingerprint(text: bytes, shingle: int = 4, seed: int = 42) -> int:
+    return majority_bits(shingle_hashes(text, shingle, seed))
+
+
 def fingerprints(documents: DataFrame, shingle: int = 4, seed: int = 42) -> DataFrame:
     """(doc_id, fp): the fingerprint as a signed long."""
 
@@ -291,7 +295,8 @@ def near_duplicates(documents: DataFrame, shingle: int = 4, seed: int = 42, dist
     distinct = materialize(rows.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints")
     n, both = bit_counts(distinct)
     roots = components(link_edges(distinct, plan_thresholds(n, both, distance), distance, block), "near-links")
-    labelled = distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    smallest = labelled.groupBy("root").agg(F.min("least").alias("component_id"))
-    by_print = labelled.join(smallest, "root").select("fp", "component_id")
+    labelled = materialize(distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root")), "labelled-fingerprints")
+    # written, so that both sides of the joins are plain exchanges and a root or fingerprint with many rows is split
+    smallest = materialize(labelled.groupBy("root").agg(F.min("least").alias("component_id")), "components")
+    by_print = materialize(labelled.join(smallest, "root").select("fp", "component_id"), "component-of-fingerprint")
     return rows.join(by_print, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")

@@ -16,6 +16,7 @@ from tokenizers import Tokenizer
 from partnet.llm import components, exact_dedup, html_text, mixing, packing, quality, rules, shards, simhash, token_files, urls
 from partnet.llm.queries import QUERIES
 from partnet.llm.tokens import MemoEncoder, pack
+from test_shingle_links import brute_groups
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, keep_id string, size string, score string, u string, bucket string"
 LONG = " ".join(f"word{i % 977} tail{i % 31}" for i in range(40_000))
@@ -524,8 +525,8 @@ def test_pipeline_against_brute_force(spark, sf, tmp_path):
         first.setdefault(normal(r.text), r.doc_id)
     assert sorted(first.values()) == sorted(r.doc_id for r in after.collect())
     before, after = kept["SimHash near-dedup"]
-    pairs = [(r.doc_id, r.text) for r in before.collect()]
-    assert sorted(set(brute_components([i for i, _ in pairs], [brute_fingerprint(t) for _, t in pairs]))) == sorted(r.doc_id for r in after.collect())
+    pairs = sorted((r.doc_id, r.text) for r in before.collect())
+    assert sorted({pairs[k][0] for k in brute_groups([t for _, t in pairs])}) == sorted(r.doc_id for r in after.collect())
     before, after = kept["mixing to target weights"]
     taken = sorted(r.doc_id for r in mixing.systematic_mix(before, ["doc_id"]).collect() for _ in range(r.copies))
     assert sorted(r.doc_id for r in after.collect()) == taken

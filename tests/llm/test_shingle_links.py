@@ -94,3 +94,42 @@ def test_rows_without_an_id_and_with_a_shared_one(spark):
     got = sorted(((r.doc_id, brute_groups([t for _, t in rows])[[t for _, t in rows].index(r.text)]) for r in corpus_pipeline.near_stage(spark, docs, "").collect()), key=str)
     assert got == sorted([(None, 0), (None, 1), (4, 3), (7, 5), (8, 7), (8, 8), (None, 9)], key=str)
     assert len({tuple(r) for r in corpus_pipeline.near_stage(spark, docs.repartition(4), "").collect()} ^ {tuple(r) for r in corpus_pipeline.near_stage(spark, docs, "").collect()}) == 0
+
+
+def test_sketches_rule_out_no_pair_and_blocks_lose_none():
+    """Sets of every overlap: what the sketch or a unit of blocks rejects is below the similarity."""
+    rng, made = np.random.default_rng(3), shingle_links.Shingler()
+    sets = []
+    for n in (1, 5, 40, 64, 65, 300, 1100):
+        base = rng.integers(0, 1 << 63, n, dtype=np.uint64) * np.uint64(2)
+        sets.append(np.unique(base))
+        for share in (0.02, 0.05, 0.1, 0.11, 0.12, 0.2, 0.5):
+            other = base.copy()
+            swap = rng.random(n) < share
+            other[swap] = rng.integers(0, 1 << 63, int(swap.sum()), dtype=np.uint64)
+            sets.append(np.unique(np.append(other, rng.integers(0, 1 << 63, n // 20, dtype=np.uint64))))
+    alike = lambda x, y: 5 * (both := np.intersect1d(x, y).size) >= 4 * (x.size + y.size - both)
+    sketches = [shingle_links.sketch_of(x) for x in sets]
+    n = len(sets)
+    likely = {(i, j) for i in range(n) for j in range(n) if i < j and shingle_links.may_be_alike(sets[i].size, sets[j].size, sketches[i], sketches[j])}
+    true = {(i, j) for i in range(n) for j in range(i + 1, n) if alike(sets[i], sets[j])}
+    assert true <= likely and len(likely) < n * n / 8
+    u, v = shingle_links.pairs_of_unit(np.arange(n), np.arange(n), np.array([x.size for x in sets]), [np.frombuffer(x, np.uint64) for x in sketches])
+    assert {(min(a, b), max(a, b)) for a, b in zip(u.tolist(), v.tolist(), strict=True)} == likely and u.size == len(likely)
+    assert made.set_of(b"").tolist() == [0] and made.set_of(b"A b").tolist() == made.set_of(b"a  B").tolist() != made.set_of(b"b a").tolist()
+
+
+def test_large_buckets_in_blocks_are_complete(spark):
+    """Unlike texts that share most of a prefix stay apart, alike ones meet, with every bucket treated as large."""
+    words = [f"q{k}" for k in range(40)]
+    texts = [" ".join(words[:25] + [f"t{t}x{k}" for k in range(15 if t % 3 else 4)]) for t in range(12)] + [" ".join(words[:25] + [f"t{t}x{k}" for k in range(14)] + ["z"]) for t in range(1, 12, 3)]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    printed = shingle_links.materialize(shingle_links.prints(df), "p")
+    nodes = {r.doc_id: r.node for r in printed.where("node IS NOT NULL").collect()}
+    members = df.select("doc_id").join(printed.select("doc_id", "node"), "doc_id").selectExpr("7L AS key", "node", "node AS root")
+    got = {(r.a, r.b) for r in shingle_links.block_pairs(members, printed, block=5).collect()}
+    for i in range(len(texts)):
+        for j in range(i):
+            x, y = brute_set(texts[i]), brute_set(texts[j])
+            if 5 * len(x & y) >= 4 * len(x | y):
+                assert (min(nodes[i], nodes[j]), max(nodes[i], nodes[j])) in got
