@@ -10,10 +10,9 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from partnet.llm import exact_dedup, mixing, packing, quality, shingle_links
-from partnet.llm.common import materialize, read_table
+from partnet.llm.common import fresh_name, materialize, read_table
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
@@ -21,12 +20,13 @@ Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier rejects go."""
     weights = quality.fit_quality(docs, read_table(spark, sf_dir, "labels"))
-    return quality.score_documents(docs, weights).where("predicted = 1").select(*docs.columns)
+    names = (fresh_name("score", docs.columns), fresh_name("predicted", docs.columns))
+    return quality.score_documents(docs, weights, names=names).where(f"{names[1]} = 1").select(*docs.columns)
 
 
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts the smallest id stays."""
-    return exact_dedup.exact_groups(docs).where("kept").select(*docs.columns)
+    return exact_dedup.kept_rows(docs)
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -40,8 +40,7 @@ def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mix_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """A row for each copy that the mix takes."""
-    mixed = mixing.systematic_mix(docs).where("copies > 0")
-    return mixed.withColumn("copy_no", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(*docs.columns)
+    return mixing.mixed_copies(docs)
 
 
 def pack_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -61,6 +61,14 @@ def map_rows(df: DataFrame, start: Callable[[], Callable[[pa.RecordBatch], pa.Re
     return df.mapInArrow(run, schema)
 
 
+def fresh_name(name: str, columns: list[str]) -> str:
+    """The name, with as many underscores behind it as keep it apart from the columns (names that differ in case only are the same)."""
+    taken = {x.lower() for x in columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def texts_as_bytes(column: pa.Array) -> list[bytes]:
     """Whole texts in UTF-8; null counts as empty."""
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]

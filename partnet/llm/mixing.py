@@ -12,9 +12,11 @@ salts of a size, rows of a salt. No level gathers a source, or a group of
 equal sizes, in one task.
 
 Defined results: null text has size 0; the null source is a source of its own
-and comes last; a source without words has target 0 and nothing taken; null ids
-share one salt; repeated rows are mixed each on their own; an empty table gives
-no rows.
+and comes last; a source without words has target 0 and nothing taken; rows of
+one size stand in the order of id, null ids last, then of a hash of the text;
+repeated rows are mixed each on their own; an empty table gives no rows. Input
+columns with the names of results give way to them in `systematic_mix`;
+`mixed_copies` returns the input's columns as they are.
 """
 
 from __future__ import annotations
@@ -62,26 +64,40 @@ def source_offset(source: Column, seed: int) -> Column:
     return F.conv(drawn, 16, 10).cast("double") / F.lit(float(1 << 32))
 
 
-def systematic_mix(documents: DataFrame, columns: list[str] | None = None, weights: tuple[int, ...] = WEIGHTS, share: float = 1.5, limit: float = 2.0, seed: int = 7) -> DataFrame:
-    """The named columns (all if None) with size, source_size, target, copies and taken."""
-    columns = documents.columns if columns is None else columns
-    named = [x for x in columns if x not in ("size", "source_size", "target", "copies", "taken")]
-    rows = documents.select(F.struct(*named).alias("row"), "source", word_count(F.col("text")).alias("size"), F.coalesce(F.pmod(F.col("doc_id"), F.lit(SALTS)), F.lit(-1)).cast("int").alias("salt"), F.col("doc_id").alias("turn"))
-    keys = documents.select("source", word_count(F.col("text")).alias("size"), F.coalesce(F.pmod(F.col("doc_id"), F.lit(SALTS)), F.lit(-1)).cast("int").alias("salt"))
-    cells = keys.groupBy("source", "size", "salt").agg(F.count(F.lit(1)).alias("n"))
-    by_size = cells.groupBy("source", "size").agg(F.sum("n").alias("n"))
-    targets = source_targets(by_size.groupBy("source").agg(F.sum(F.col("size") * F.col("n")).alias("source_size")), weights, share, limit)
+def placed_copies(documents: DataFrame, columns: list[str], weights: tuple[int, ...] = WEIGHTS, share: float = 1.5, limit: float = 2.0, seed: int = 7) -> DataFrame:
+    """(row, size, source_size, target, copies): row holds the named columns."""
+    # rows without an id are dealt over as many salts, behind those with one
+    salt = F.coalesce(F.pmod(F.col("doc_id"), F.lit(SALTS)), F.pmod(F.xxhash64("text"), F.lit(SALTS)) + SALTS).cast("int").alias("salt")
+    # the source as two columns without nulls, so that the ranks' partitioning serves the join as well and texts move once
+    cell = [F.coalesce("source", F.lit("")).alias("s"), F.col("source").isNull().alias("unnamed"), word_count(F.col("text")).alias("size")]
+    rows = documents.select(F.struct(*columns).alias("row"), *cell, salt, F.struct(F.col("doc_id"), F.xxhash64("text")).alias("turn"))
+    cells = documents.select(*cell, salt).groupBy("s", "unnamed", "size", "salt").agg(F.count(F.lit(1)).alias("n"))
+    by_size = cells.groupBy("s", "unnamed", "size").agg(F.sum("n").alias("n"))
+    source = F.when(~F.col("unnamed"), F.col("s"))
+    totals = by_size.groupBy("s", "unnamed").agg(F.sum(F.col("size") * F.col("n")).alias("source_size")).select(source.alias("source"), "source_size")
+    targets = source_targets(totals, weights, share, limit).select(F.coalesce("source", F.lit("")).alias("s"), F.col("source").isNull().alias("unnamed"), "source_size", "target")
     earlier = Window.unboundedPreceding, -1
-    sizes_before = by_size.select(
-        F.col("source").alias("s1"), F.col("size").alias("z1"), F.coalesce(F.sum("n").over(Window.partitionBy("source").orderBy(F.col("size").desc()).rowsBetween(*earlier)), F.lit(0)).alias("above")
-    )
-    salts_before = cells.select("source", "size", "salt", F.coalesce(F.sum("n").over(Window.partitionBy("source", "size").orderBy("salt").rowsBetween(*earlier)), F.lit(0)).alias("beside"))
-    bases = salts_before.join(sizes_before, F.col("source").eqNullSafe(F.col("s1")) & (F.col("size") == F.col("z1")))
-    bases = bases.join(targets.select(F.col("source").alias("s2"), "source_size", "target"), F.col("source").eqNullSafe(F.col("s2")))
-    bases = bases.select(F.col("source").alias("s"), F.col("size").alias("z"), F.col("salt").alias("t"), (F.col("above") + F.col("beside")).alias("base"), "source_size", "target")
-    ranked = rows.withColumn("place", F.row_number().over(Window.partitionBy("source", "size", "salt").orderBy("turn")) - 1)
-    placed = ranked.join(bases, F.col("source").eqNullSafe(F.col("s")) & (F.col("size") == F.col("z")) & (F.col("salt") == F.col("t")))
+    above = F.coalesce(F.sum("n").over(Window.partitionBy("s", "unnamed").orderBy(F.col("size").desc()).rowsBetween(*earlier)), F.lit(0))
+    beside = F.coalesce(F.sum("n").over(Window.partitionBy("s", "unnamed", "size").orderBy("salt").rowsBetween(*earlier)), F.lit(0))
+    bases = cells.select("s", "unnamed", "size", "salt", beside.alias("beside")).join(by_size.select("s", "unnamed", "size", above.alias("above")), ["s", "unnamed", "size"])
+    bases = bases.join(targets, ["s", "unnamed"]).select("s", "unnamed", "size", "salt", (F.col("above") + F.col("beside")).alias("base"), "source_size", "target")
+    ranked = rows.withColumn("place", F.row_number().over(Window.partitionBy("s", "unnamed", "size", "salt").orderBy("turn")) - 1)
+    placed = ranked.join(bases, ["s", "unnamed", "size", "salt"])
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
-    rank, shift = (F.col("base") + F.col("place")).cast("double"), source_offset(F.col("source"), seed)
+    rank, shift = (F.col("base") + F.col("place")).cast("double"), source_offset(source, seed)
     copies = (F.floor((rank + 1) * rate + shift) - F.floor(rank * rate + shift)).cast("long")
-    return placed.withColumn("copies", copies).select("row.*", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+    return placed.select("row", "size", "source_size", "target", copies.alias("copies"))
+
+
+def systematic_mix(documents: DataFrame, columns: list[str] | None = None, weights: tuple[int, ...] = WEIGHTS, share: float = 1.5, limit: float = 2.0, seed: int = 7) -> DataFrame:
+    """The named columns (all if None) with size, source_size, target, copies and taken."""
+    columns = documents.columns if columns is None else columns
+    named = [x for x in columns if x.lower() not in ("size", "source_size", "target", "copies", "taken")]
+    placed = placed_copies(documents, named, weights, share, limit, seed)
+    return placed.select("row.*", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+
+
+def mixed_copies(documents: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = 1.5, limit: float = 2.0, seed: int = 7) -> DataFrame:
+    """The documents, a row for each copy that the mix takes."""
+    placed = placed_copies(documents, documents.columns, weights, share, limit, seed).where("copies > 0")
+    return placed.select("row", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select("row.*")

@@ -11,8 +11,10 @@ length. Only the text is an input of the score.
 Defined results: a null or empty text has no features and gets the model's
 bias; without labelled rows (or with an empty table) the model is all zero and
 every score is 0.5; labels outside 0 and 1, null ids and null labels are not
-learnt from; repeated rows are scored each on its own; columns beside doc_id and
-text pass through `score_documents` untouched.
+learnt from; an id that several rows have is learnt from once, with its least
+text; repeated rows are scored each on its own; all columns pass through
+`score_documents` but those that have the names of its results, which the
+results replace.
 """
 
 from __future__ import annotations
@@ -116,18 +118,20 @@ def is_held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string")) % 3 == 1, F.lit(False))
 
 
+def learning_labels(labels: DataFrame) -> DataFrame:
+    """(doc_id, label): one row for each labelled id outside the held-out third."""
+    usable = F.col("doc_id").isNotNull() & F.col("quality").isin(0, 1) & ~is_held_out(F.col("doc_id"))
+    return labels.where(usable).groupBy("doc_id").agg(F.max("quality").cast("int").alias("label"))
+
+
 def fit_quality(documents: DataFrame, labels: DataFrame, config: QualityConfig = QualityConfig()) -> np.ndarray:
     """Fits on at most config.max_train_rows labelled rows outside the held-out third.
 
     Features are made in parallel; one task then runs the ordered updates on the bounded sample.
     """
-    chosen = (
-        labels.where(F.col("doc_id").isNotNull() & F.col("quality").isin(0, 1) & ~is_held_out(F.col("doc_id")))
-        .groupBy("doc_id").agg(F.max("quality").cast("int").alias("label"))
-        .select("doc_id", "label", F.xxhash64("doc_id").alias("turn"))
-        .orderBy("turn", "doc_id").limit(config.max_train_rows)
-    )
-    sample = documents.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("turn", "label", "text")
+    chosen = learning_labels(labels).select("doc_id", "label", F.xxhash64("doc_id").alias("turn")).orderBy("turn", "doc_id").limit(config.max_train_rows)
+    once = documents.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("turn", "doc_id", "label").agg(F.min("text").alias("text"))
+    sample = once.select("turn", "label", "text")
     bits = config.bits
 
     def start():
@@ -159,8 +163,8 @@ def score_text(weights: np.ndarray, hasher: NgramHasher, text: str | None) -> fl
     return float(1.0 / (1.0 + np.exp(-np.clip(dot, -35, 35))))
 
 
-def score_documents(documents: DataFrame, weights: np.ndarray, config: QualityConfig = QualityConfig()) -> DataFrame:
-    """Adds score (double) and predicted (int). The weights have a fixed size, so they are broadcast."""
+def score_documents(documents: DataFrame, weights: np.ndarray, config: QualityConfig = QualityConfig(), names: tuple[str, str] = ("score", "predicted")) -> DataFrame:
+    """Adds score (double) and predicted (int), under the given names. The weights have a fixed size, so they are broadcast."""
     shared, bits = documents.sparkSession.sparkContext.broadcast(weights), config.bits
 
     @F.pandas_udf("double")
@@ -169,4 +173,4 @@ def score_documents(documents: DataFrame, weights: np.ndarray, config: QualityCo
         for texts in parts:
             yield pd.Series([score_text(shared.value, hasher, x) for x in texts], dtype="float64")
 
-    return documents.withColumn("score", scored("text")).withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
+    return documents.withColumn(names[0], scored("text")).withColumn(names[1], (F.col(names[0]) >= 0.5).cast("int"))

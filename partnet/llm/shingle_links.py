@@ -33,13 +33,13 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from partnet.llm.bloom import concerned, one_row_each
 from partnet.llm.common import STEP_ROWS, map_rows, materialize, texts_as_bytes
 from partnet.llm.components import components
 from partnet.llm.simhash import bit_counts, link_edges, majority_bits, plan_thresholds
-from partnet.llm.urls import BITS_PER_KEY, BLOCK_BITS, bloom_bits, blocked_bloom
 
 #: similarity as a fraction of whole numbers, so that the border is exact
 TOP, BOTTOM = 4, 5
@@ -48,8 +48,6 @@ SMALL = 32
 STAR_ROUNDS = 3
 UNIT_BLOCK = 512
 WORD_CACHE = 200_000
-#: most blocks of the Bloom filters here, 40 bytes each when broadcast
-MOST_BLOCKS = 1 << 17
 FACTOR = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -167,23 +165,10 @@ def filed(documents: DataFrame, loads: np.ndarray, shingle: int = 5) -> DataFram
     return map_rows(documents.select(F.col("text").cast("binary").alias("text")), start, "key long, node long")
 
 
-def concerned(rows: DataFrame, column: Column, keys: DataFrame) -> DataFrame:
-    """rows with the column near__hit: whether a filter of the keys (one column, key) may hold the value. The filter's size is bounded; beyond it more rows pass."""
-    n = keys.agg(F.count(F.lit(1))).first()[0]
-    blocks = min(MOST_BLOCKS, max(1, -(-n * BITS_PER_KEY // BLOCK_BITS)))
-    bloom = F.broadcast(blocked_bloom(keys, blocks).withColumnRenamed("block", "near__block"))
-    block, bits = bloom_bits(column, blocks)
-    held = rows.withColumn("near__block", block).join(bloom, "near__block", "left")
-    hit = F.lit(True)
-    for k, bit in enumerate(bits):
-        hit = hit & (F.col(f"w{k}").bitwiseAND(bit) != 0)
-    return held.withColumn("near__hit", F.coalesce(hit, F.lit(False))).drop("near__block", "w0", "w1", "w2", "w3")
-
-
 def whole_sets(documents: DataFrame, printed: DataFrame, nodes: DataFrame, shingle: int = 5) -> DataFrame:
     """(node, found) of the nodes asked for, from one text of each."""
     asked = materialize(printed.join(nodes, "node", "left_semi").groupBy("node").agg(F.min("h").alias("h")), "near-asked")
-    made_of = concerned(documents.select("text", F.xxhash64("text").alias("h")), F.col("h"), asked.select(F.col("h").alias("key"))).where("near__hit").select("h", F.col("text").cast("binary").alias("text"))
+    made_of = concerned(documents.select("text", F.xxhash64("text").alias("h")), F.col("h"), asked.select(F.col("h").alias("key")), "near__hit").where("near__hit").select("h", F.col("text").cast("binary").alias("text"))
 
     def start():
         made = Shingler(shingle)
@@ -331,11 +316,9 @@ def one_of_each(documents: DataFrame, shingle: int = 5) -> DataFrame:
     counted = printed.where("node IS NOT NULL").groupBy(F.col("h").alias("near__h"), *named(F.col("doc_id"))).agg(F.count(F.lit(1)).alias("n"))
     #: rows that go, and rows of which one stays
     touched = materialize(counted.join(stay, keys, "left").where("stays IS NULL OR n > 1").select(*keys, F.coalesce("stays", F.lit(False)).alias("stays")), "near-touched")
-    read = concerned(documents.withColumn("near__h", F.xxhash64("text")), F.col("near__h"), touched.select(F.col("near__h").alias("key")))
+    read = concerned(documents.withColumn("near__h", F.xxhash64("text")), F.col("near__h"), touched.select(F.col("near__h").alias("key")), "near__hit")
     hit = read.where("near__hit").select("*", *named(F.col("doc_id")))
     out = read.where("NOT near__hit").select(*documents.columns).unionAll(hit.join(touched, keys, "left_anti").select(*documents.columns))
     if not touched.where("stays").take(1):
         return out
-    ordered = [c for c, kind in documents.dtypes if "map<" not in kind and "variant" not in kind]
-    once = hit.groupBy(*keys).agg(F.min_by(F.struct(*documents.columns), F.struct(*ordered)).alias("row")).join(touched.where("stays"), keys)
-    return out.unionAll(once.select("row.*"))
+    return out.unionAll(one_row_each(hit.join(touched.where("stays").select(*keys), keys, "left_semi"), keys, documents.columns))

@@ -23,6 +23,8 @@ import string
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from partnet.llm.bloom import BITS_PER_KEY, BLOCK_BITS, bloom_bits, blocked_bloom
+
 #: fixed values: the contract's rules
 RULES = (
     ("com/", "allow"),
@@ -45,8 +47,6 @@ TLDS = tuple(
 #: the list behind the method's own verdict
 LISTED = tuple(f"{site}.{tld}/" for site in SITES for tld in TLDS)
 BROADCAST_BYTES = 128 << 20
-BLOCK_BITS = 256
-BITS_PER_KEY = 16
 
 
 def url_parts(url: Column) -> tuple[Column, Column]:
@@ -63,24 +63,6 @@ def entries(spark: SparkSession, rules: tuple[tuple[str, str], ...], listed: tup
     return ruled.unionByName(spark.range(1).select(sites, F.lit("block").alias("verdict"), F.lit(False).alias("is_rule"))) if listed else ruled
 
 
-def bloom_bits(key: Column, blocks: int) -> tuple[Column, list[Column]]:
-    """Block of a key and its bit in each of the block's four words."""
-    h = F.xxhash64(key)
-    block = F.pmod(F.xxhash64(key, F.lit(1)), F.lit(blocks)).cast("int")
-    return block, [one_bit(h, 6 * k) for k in range(4)]
-
-
-def one_bit(h: Column, shift: int) -> Column:
-    place = F.shiftrightunsigned(h, shift).bitwiseAND(F.lit(63)).cast("int")
-    return F.call_function("shiftleft", F.lit(1).cast("long"), place)
-
-
-def blocked_bloom(keys: DataFrame, blocks: int) -> DataFrame:
-    """(block, w0..w3) of a table with the column key."""
-    block, bits = bloom_bits(F.col("key"), blocks)
-    return keys.select(block.alias("block"), *(b.alias(f"b{k}") for k, b in enumerate(bits))).groupBy("block").agg(*(F.bit_or(f"b{k}").alias(f"w{k}") for k in range(4)))
-
-
 def candidate_keys(host: Column, path: Column, path_lengths: Column) -> Column:
     """One key for each suffix of the host and each known path length that the path reaches."""
     labels = F.split(host, r"\.", -1)

@@ -61,8 +61,67 @@ def test_quality_learns_and_scores_everything(spark, sf, docs, empty):
     assert np.mean([r.predicted == r.quality for r in fitted]) > 0.95
     weights = quality.fit_quality(docs, labels.limit(0))
     assert {r.score for r in quality.score_documents(docs, weights).collect()} == {0.5}
-    scored = quality.score_documents(docs.drop("score"), weights)
-    assert scored.count() == len(TEXTS) and quality.score_documents(empty.drop("score"), weights).count() == 0
+    scored = quality.score_documents(docs, weights)
+    assert scored.count() == len(TEXTS) and dict(scored.dtypes)["score"] == "double" and quality.score_documents(empty, weights).count() == 0
+    beside = quality.score_documents(docs, weights, names=("own", "says"))
+    assert {r.score for r in beside.collect()} == {"z"} and {r.own for r in beside.collect()} == {0.5}
+    assert quality.fit_quality(real_rows(spark, sf).unionAll(real_rows(spark, sf)), labels).tolist() == quality.fit_quality(real_rows(spark, sf), labels).tolist()
+
+
+def real_rows(spark, sf):
+    return spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
+
+
+def brute_slots(text, bits=18):
+    """Feature slots in plain whole-number arithmetic."""
+    tokens, wide = re.findall(r"\w+|[^\w\s]+", text or ""), 1 << 64
+    if not tokens:
+        return []
+    h = [zlib.crc32(x.encode("utf-8", "surrogatepass")) for x in tokens]
+    mix = 0x9E3779B97F4A7C15
+    pairs = {(a * 0xC2B2AE3D27D4EB4F + b + 7) * mix % wide for a, b in zip(h, h[1:])}
+    shares = [sum(a == b for a, b in zip(h, h[gap:])) / (len(h) - gap) if len(h) > gap else 0.0 for gap in (1, 2)] + [1 - len(pairs) / max(1, len(h) - 1)]
+    repeats = [(100 * k + int(10 * x) + (1 << 40)) * mix % wide for k, x in enumerate(shares)]
+    return sorted({x >> (64 - bits) for x in [(a + 1) * mix % wide for a in h] + list(pairs) + repeats})
+
+
+def brute_ftrl(examples, config):
+    """Plain per-coordinate FTRL-proximal over dictionaries."""
+    import math
+
+    z, n, bias = {}, {}, 1 << config.bits
+    ones = sum(y for y, _ in examples)
+    weight = {1: len(examples) / max(1, 2 * ones), 0: len(examples) / max(1, 2 * (len(examples) - ones))}
+
+    def w(i):
+        zi = z.get(i, 0.0)
+        return 0.0 if abs(zi) <= config.l1 else -(zi - math.copysign(config.l1, zi)) / ((config.beta + math.sqrt(n.get(i, 0.0))) / config.alpha + config.l2)
+
+    for _ in range(-(-config.updates // max(1, len(examples)))):
+        for y, slots in examples:
+            x = {i: 1 / math.sqrt(len(slots)) for i in slots} | {bias: 1.0}
+            at = {i: w(i) for i in x}
+            p = 1 / (1 + math.exp(-max(-35.0, min(35.0, sum(at[i] * v for i, v in x.items())))))
+            for i, v in x.items():
+                g = (p - y) * v * weight[y]
+                sigma = (math.sqrt(n.get(i, 0.0) + g * g) - math.sqrt(n.get(i, 0.0))) / config.alpha
+                z[i] = z.get(i, 0.0) + g - sigma * at[i]
+                n[i] = n.get(i, 0.0) + g * g
+    return lambda slots: 1 / (1 + math.exp(-max(-35.0, min(35.0, sum(w(i) for i in slots) / math.sqrt(max(1, len(slots))) + w(bias)))))
+
+
+def test_every_score_against_a_plain_refit(spark, sf):
+    """op1's fit and all its scores over the whole table, from the given labels outside the held-out third, in plain Python."""
+    labels = {r.doc_id: r.quality for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    texts = {r.doc_id: r.text for r in real_rows(spark, sf).collect()}
+    ids = [i for i in labels if zlib.crc32(str(i).encode()) % 3 != 1 and i in texts]
+    turn = {r.doc_id: r.turn for r in real_rows(spark, sf).select("doc_id", F.xxhash64("doc_id").alias("turn")).collect()}
+    score = brute_ftrl([(labels[i], brute_slots(texts[i])) for i in sorted(ids, key=turn.get)], quality.QualityConfig())
+    rows = QUERIES["op1_quality"](spark, sf).collect()
+    assert len(rows) == len(texts)
+    for r in rows:
+        assert r.score == pytest.approx(score(brute_slots(texts[r.doc_id])), abs=1e-4) and r.predicted == (r.score >= 0.5)
+        assert r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 3 == 1)
 
 
 def test_ftrl_separates():
@@ -84,9 +143,9 @@ def test_repetition_has_slots_of_its_own():
 # --- exact dedup ---
 
 
-@pytest.mark.parametrize("trie_bytes", [exact_dedup.TRIE_BYTES, 2_000])
-def test_exact_groups(docs, empty, trie_bytes):
-    rows = exact_dedup.exact_groups(docs, ["doc_id"], trie_bytes).collect()
+@pytest.mark.parametrize("trie_bytes,owner_bytes", [(exact_dedup.TRIE_BYTES, exact_dedup.OWNER_BYTES), (2_000, 1_000)])
+def test_exact_groups(docs, empty, trie_bytes, owner_bytes):
+    rows = exact_dedup.exact_groups(docs, ["doc_id"], trie_bytes, owner_bytes).collect()
     groups: dict = {}
     for i, t, _ in TEXTS:
         groups.setdefault(normal(t), []).append(i)
@@ -114,21 +173,51 @@ def test_trie_against_a_dictionary():
         low, n = want.get(key, (10**9, 0))
         want[key] = (min(low, 500 - owner), n + 1)
         if owner % 97 == 0:
-            for k, o, n in trie.spill():
+            prefix, terminals = trie.cut()
+            for k, o, _, n in terminals:
+                assert k.startswith(prefix)
                 low, m = got.get(k, (10**9, 0))
                 got[k] = (min(low, o), m + n)
-    for k, o, n in trie.drain():
+    for k, o, _, n in trie.drain():
         low, m = got.get(k, (10**9, 0))
         got[k] = (min(low, o), m + n)
     assert got == want
 
 
-def test_hash_collisions_end_in_two_terminals():
+def test_one_trie_holds_a_partition_and_spills_by_subtree():
+    """Strings with common beginnings share nodes; what is below a cut prefix leaves unfinished, the rest is owned, nothing is lost."""
     import pyarrow as pa
 
-    batch = exact_dedup.rows_out([(3, 7, b"abc", 5, True, 1), (3, 7, b"abd", 4, True, 2), (3, 7, b"abc", 1, True, 1)])
-    out = pa.Table.from_batches(exact_dedup.merge_side(iter([batch]))).to_pylist()
-    assert sorted((r["keep_id"], r["group_size"]) for r in out) == [(1, 2), (4, 2)]
+    rng = np.random.default_rng(2)
+    keys = [b"shared beginning " + bytes(rng.integers(97, 100, rng.integers(1, 9)).astype(np.uint8)) for _ in range(600)]
+    trie = exact_dedup.PatriciaTrie()
+    for k, key in enumerate(keys):
+        trie.insert(key, k)
+    assert trie.size < len(set(keys)) * 2 * exact_dedup.NODE_BYTES and len(trie.root.children) == 1
+    rows = [(key, None if k % 7 == 0 else 600 - k, 1, 1) for k, key in enumerate(keys)]
+    for limit in (1 << 20, 30_000, 500):
+        batches = list(exact_dedup.in_chunks(iter(rows), exact_dedup.LOCAL_SCHEMA))
+        out = pa.Table.from_batches(exact_dedup.owner_side(limit)(iter(batches))).to_pylist()
+        open_keys = {r["body"] for r in out if r["body"] is not None}
+        done = {r["digest"]: r for r in out if r["body"] is None}
+        assert (limit == 1 << 20) == (not open_keys) and sum(r["group_size"] for r in out) == 600
+        for key in set(keys) - open_keys:
+            mine = [600 - k for k, x in enumerate(keys) if x == key and k % 7]
+            r = done[hashlib.sha256(key).digest()]
+            assert r["keep_id"] == min(mine, default=None) and r["group_size"] == keys.count(key)
+        assert not {hashlib.sha256(k).digest() for k in open_keys} & done.keys()
+
+
+def test_kept_rows_are_those_of_the_groups(docs, real, empty):
+    """kept_rows returns the input's columns, clashing ones too, and the rows that exact_groups marks."""
+    for df in (docs, real, docs.unionAll(docs)):
+        marked = exact_dedup.exact_groups(df.select("doc_id", "text"))
+        want = sorted(str((r.doc_id, r.text)) for r in marked.where("kept").collect())
+        out = exact_dedup.kept_rows(df)
+        # of rows that repeat id and normalised text, any one may stay
+        assert out.columns == df.columns and sorted(str((r.doc_id, normal(r.text))) for r in out.collect()) == sorted(str((i, normal(t))) for i, t in map(lambda r: (r.doc_id, r.text), marked.where("kept").collect())) and len(want) == out.count()
+    assert {r.keep_id for r in exact_dedup.kept_rows(docs).collect()} == {"x"}
+    assert exact_dedup.kept_rows(empty).count() == 0
 
 
 # --- rules ---
