@@ -1,16 +1,23 @@
 """Main text of web pages: parser events, text-to-tag ratios, Gaussian smoothing, threshold clustering.
 
 The standard library's streaming parser turns a page into lines, one for each
-block of text. A line's ratio is its characters per tag; the ratios, smoothed
-with a Gaussian along the page, are split in two by one-dimensional clustering,
-and the lines above the threshold are content. Content decides the region: the
-articles (or main element) that hold content lines, or, without such elements,
-everything between the first and last content line. Lines in navigation,
-headers, footers, asides, forms, scripts, styles and in elements whose class or
-id names an advert, notice, sidebar, menu or comment never belong to it. Names
-are whole tokens or compounds of known words, and headings have none; an article
-or main on or under such a name counts if the page has no other and less text
-elsewhere. Within the region every remaining line is kept, short ones too.
+block of text. A line's ratio is its characters per tag; the logarithms of the
+ratios, raised inside of article and main elements, are smoothed with a Gaussian
+along the page and split in two by one-dimensional clustering. Lines above the
+threshold are content.
+
+Lines belong to groups: an article or main element, or, outside of these, what
+stands directly in the same division or section. A group stays if half of its
+characters or more are content, and the one with most content does in any case.
+A division whose own lines hold half of all content keeps what is nested between
+them. All lines of a group stay together, short ones too; a group that is not content
+goes whole.
+
+Lines in navigation, headers, footers, asides, forms, scripts, styles and in
+elements whose class or id names an advert, notice, sidebar, menu or comment
+never stay, whatever their ratio. Names are whole tokens or compounds of known
+words, and headings have none; an article or main on or under such a name counts
+if the page has no other and less text elsewhere.
 
 Defined results: null and empty pages give an empty text, as do pages without
 any text outside of boilerplate; unclosed and stray tags are tolerated; repeated
@@ -36,6 +43,12 @@ BLOCKS = frozenset(
 )
 DROPPED = frozenset("head title script style noscript template nav footer aside form button select textarea iframe object svg canvas dialog menu".split())
 REGION = frozenset(("article", "main"))
+#: elements that hold the lines of a group
+BOXES = frozenset("body article main section div td th center fieldset".split())
+#: what an article or main element adds to the logarithm of a line's ratio
+TAGGED = 3.0
+#: clusters of ratios within a factor of two are one
+SINGLE = float(np.log(2))
 #: an opening tag of the first kind closes an open element of the second, up to a boundary
 IMPLIED = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 CLOSES_P = BLOCKS - {"body", "html", "head", "title", "option", "optgroup", "legend", "li", "td", "th", "tr", "tbody", "thead", "tfoot", "summary", "dd", "dt"}
@@ -65,23 +78,27 @@ BY_NAME, WHOLLY = 1, 2
 
 
 class PageLines(HTMLParser):
-    """Lines of a page: (text, tags met since the last line, element of the region or 0, dropped: 0, BY_NAME or WHOLLY)."""
+    """Lines of a page: (text, tags met since the last line, article or main element or 0, dropped: 0, BY_NAME or WHOLLY, box).
+
+    boxes has the box around each box; the page is box 0, in itself.
+    """
 
     def __init__(self):
         super().__init__(convert_charrefs=True)
-        self.open: list[tuple[str, int, int, bool]] = []  # tag, dropped, region, opened a line
-        self.lines: list[tuple[str, int, int, int]] = []
+        self.open: list[tuple[str, int, int, bool, int]] = []  # tag, dropped, region, opened a line, box
+        self.lines: list[tuple[str, int, int, int, int]] = []
         self.parts: list[str] = []
+        self.boxes = [0]
         self.tags = self.regions = 0
 
-    def state(self) -> tuple[int, int]:
-        return self.open[-1][1:3] if self.open else (0, 0)
+    def state(self) -> tuple[int, int, int]:
+        return (*self.open[-1][1:3], self.open[-1][4]) if self.open else (0, 0, 0)
 
     def end_line(self) -> None:
         text = " ".join("".join(self.parts).split())
         if text:
-            dropped, region = self.state()
-            self.lines.append((text, self.tags, region, dropped))
+            dropped, region, box = self.state()
+            self.lines.append((text, self.tags, region, dropped, box))
             self.tags = 0
         self.parts = []
 
@@ -95,7 +112,7 @@ class PageLines(HTMLParser):
                 self.parts.append(" ")
             return
         self.close_implied(tag)
-        dropped, region = self.state()
+        dropped, region, box = self.state()
         marks = " ".join(v for k, v in attrs if k in ("class", "id", "role") and v)
         names = bool(marks) and tag not in ("html", "body") and tag not in HEADINGS and names_boilerplate(marks)
         if tag in DROPPED or (names and region) or (tag == "header" and not region) or any(k == "hidden" for k, _ in attrs):
@@ -107,7 +124,10 @@ class PageLines(HTMLParser):
         if tag in REGION and dropped < WHOLLY and not region:
             self.regions += 1
             region = self.regions
-        self.open.append((tag, dropped, region, block or names))
+        if tag in BOXES:
+            self.boxes.append(box)
+            box = len(self.boxes) - 1
+        self.open.append((tag, dropped, region, block or names, box))
 
     def close_implied(self, tag: str) -> None:
         targets = IMPLIED.get(tag)
@@ -142,13 +162,13 @@ class PageLines(HTMLParser):
     def handle_data(self, data: str) -> None:
         self.parts.append(data)
 
-    def finish(self) -> list[tuple[str, int, int, bool]]:
+    def finish(self) -> PageLines:
         self.close()
         self.end_line()
-        return self.lines
+        return self
 
 
-def page_lines(html: str) -> list[tuple[str, int, int, bool]]:
+def page_lines(html: str) -> PageLines:
     try:
         page = PageLines()
         page.feed(html)
@@ -167,8 +187,11 @@ def smooth(values: np.ndarray, sigma: float = 1.5) -> np.ndarray:
 
 
 def split_level(values: np.ndarray) -> float:
-    """Threshold between two one-dimensional clusters: midway between their means, repeated until it rests."""
-    level = float(values.mean())
+    """Threshold between two one-dimensional clusters: midway between their means, repeated until it rests.
+
+    Means closer than SINGLE are one cluster, and everything is above the threshold.
+    """
+    level, low, high = float(values.mean()), values[:0], values[:0]
     for _ in range(50):
         low, high = values[values < level], values[values >= level]
         if not low.size or not high.size:
@@ -177,36 +200,49 @@ def split_level(values: np.ndarray) -> float:
         if abs(fresh - level) < 1e-9:
             break
         level = fresh
-    return level
+    return level if low.size and high.size and high.mean() - low.mean() >= SINGLE else float(values.min())
+
+
+def content_groups(group: np.ndarray, content: np.ndarray, size: np.ndarray) -> dict[int, int]:
+    """Groups that stay, with their characters of content."""
+    whole, mass = {}, {}
+    for g, yes, n in zip(group.tolist(), content.tolist(), size.tolist(), strict=True):
+        whole[g] = whole.get(g, 0) + n
+        mass[g] = mass.get(g, 0) + n * yes
+    most = max(mass.values(), default=0)
+    return {g: m for g, m in mass.items() if m and (2 * m >= whole[g] or m == most)}
 
 
-def main_text(html: str | None, sigma: float = 1.5) -> str:
-    lines = page_lines(html) if html else []
-    if not lines:
+def main_text(html: str | None, sigma: float = 1.5, level: float | None = None) -> str:
+    """level: a threshold in place of the one that clustering finds."""
+    page = page_lines(html) if html else None
+    if not page or not page.lines:
         return ""
+    lines = page.lines
+    region, box = np.array([x[2] for x in lines]), np.array([x[4] for x in lines])
     own = np.array([not x[3] for x in lines])
-    region = np.array([x[2] for x in lines])
     named = np.array([x[3] == BY_NAME for x in lines]) & (region > 0)
     size = np.array([len(x[0]) for x in lines])
     if not (own & (region > 0)).any() and size[named].sum() > size[own].sum():
         own = named  # the page's only region lies in a wrapper with such a name
     if not own.any():
         return ""
-    ratio = np.log1p(np.array([len(text) / max(1, tags) for text, tags, _, _ in lines]))
+    ratio = np.log1p(size / np.maximum(1, [x[1] for x in lines])) + TAGGED * (region > 0) * own
     smoothed = smooth(ratio, sigma)
-    content = smoothed >= split_level(smoothed)
-    if (own & (region > 0)).any():
-        mass: dict[int, float] = {}
-        for k in np.flatnonzero(own & (region > 0)):
-            mass[region[k]] = mass.get(region[k], 0.0) + len(lines[k][0])
-        chosen = {region[k] for k in np.flatnonzero(own & content & (region > 0))} or {max(mass, key=mass.get)}
-        kept = [x[0] for x, mine, r in zip(lines, own, region, strict=True) if mine and r in chosen]
-    else:
-        at = np.flatnonzero(own & content)
-        if not at.size:
-            at = np.flatnonzero(own)
-        kept = [lines[k][0] for k in range(at[0], at[-1] + 1) if own[k]]
-    return "\n".join(kept)
+    content = smoothed >= (split_level(smoothed) if level is None else level)
+    group = np.where(region > 0, -region, box)  # boxes from 0 up, regions below
+    mine = np.flatnonzero(own)
+    stays = content_groups(group[mine], content[mine], size[mine])
+    half = sum(stays.values()) / 2
+    spans = {g: np.flatnonzero(own & (group == g))[[0, -1]] for g, mass in stays.items() if g >= 0 and mass >= half}
+
+    def enclosed(k: int) -> bool:
+        at = int(box[k])
+        while at and at not in spans:
+            at = page.boxes[at]
+        return at in spans and spans[at][0] < k < spans[at][1]
+
+    return "\n".join(lines[k][0] for k in mine if int(group[k]) in stays or enclosed(k))
 
 
 def extract_pages(pages: DataFrame, sigma: float = 1.5) -> DataFrame:

@@ -1,31 +1,38 @@
 """Quality rules as a short-circuit cascade.
 
 Each rule rejects a text by one measure. A sample gives each rule's cost per
-text and the share of texts it rejects; rules then run in the order of
-rejections per cost, and a text leaves the cascade at its first rejection. The
-verdict is the same in any order; only the work differs.
+text, as characters, lines or numbers that it looks at, and the share of texts
+it rejects; rules then run in the order of rejections per cost, and a text
+leaves the cascade at its first rejection. The verdict is the same in any order;
+only the work differs. Costs are counted, not timed, so the order, and with it
+rejected_by, is the same on every machine.
+
+Letters are the code points of Unicode's categories L, capitals those of Lu,
+small letters those of Ll.
 
 Defined results: null and empty texts have no words and fail the base rules;
 an empty table gives no rows; repeated rows and null ids are judged each on
-their own; extra columns are ignored.
+their own; without an id in the table the rules run in the order they are
+declared; extra columns are ignored.
 """
 
 from __future__ import annotations
 
-import re
-import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from partnet.llm.common import map_rows, texts_as_bytes
 
 SYMBOLS = b"#*$%&|<>"
-LETTER = re.compile(r"[^\W\d_]")
+#: from the first letter of a word to its end
+lettered_words = regex.compile(r"\p{L}[^ ]*").findall
+capitals, small_letters = regex.compile(r"\p{Lu}+").findall, regex.compile(r"\p{Ll}+").findall
 
 
 @dataclass
@@ -89,8 +96,11 @@ def fails_base(m: Measured) -> bool:
 
 @dataclass(frozen=True)
 class Rule:
+    """work: how many characters, lines or numbers rejects() looks at."""
+
     name: str
     rejects: Callable[[Measured], bool]
+    work: Callable[[Measured], int] = lambda m: 1
 
 
 def many_symbols(m: Measured) -> bool:
@@ -107,36 +117,51 @@ def odd_word_length(m: Measured) -> bool:
 
 
 def few_words_with_letters(m: Measured) -> bool:
-    joined = b" ".join(m.words).decode("utf-8", "surrogatepass")
-    return 10 * sum(1 for x in joined.split(" ") if LETTER.search(x)) < 7 * len(m.words)
+    return 10 * len(lettered_words(b" ".join(m.words).decode("utf-8", "surrogatepass"))) < 7 * len(m.words)
 
 
 def shouting(m: Measured) -> bool:
     text = m.text.decode("utf-8", "surrogatepass")
-    upper, lower = sum(map(str.isupper, text)), sum(map(str.islower, text))
-    return upper > lower
+    return sum(map(len, capitals(text))) > sum(map(len, small_letters(text)))
 
 
 RULES = (
     Rule("many_symbols", many_symbols),
-    Rule("many_repeated_lines", many_repeated_lines),
+    Rule("many_repeated_lines", many_repeated_lines, lambda m: 1 + m.text.count(b"\n")),
     Rule("odd_word_length", odd_word_length),
-    Rule("few_words_with_letters", few_words_with_letters),
-    Rule("shouting", shouting),
+    Rule("few_words_with_letters", few_words_with_letters, lambda m: len(m.words) + m.word_chars),
+    Rule("shouting", shouting, lambda m: 2 * len(m.text)),
 )
 
 
-def plan_order(sample: list[bytes], rules: tuple[Rule, ...] = RULES) -> list[dict]:
-    """Each rule's mean seconds and rejection share on the sample, in the order to run."""
-    measured = [x for x in map(measure, sample) if not fails_base(x)]
+def trials(texts: list[bytes], rules: tuple[Rule, ...] = RULES) -> list[tuple[str, int, int, int]]:
+    """(rule, texts that pass the base rules, rejected, work) for each rule."""
+    measured = [x for x in map(measure, texts) if not fails_base(x)]
+    return [(r.name, len(measured), sum(map(r.rejects, measured)), sum(map(r.work, measured))) for r in rules]
+
+
+def plan_order(tried: list[tuple[str, int, int, int]]) -> list[dict]:
+    """Each rule's mean cost and rejection share, in the order to run."""
     found = []
-    for rule in rules:
-        began = time.perf_counter()
-        rejected = sum(rule.rejects(x) for x in measured)
-        seconds = (time.perf_counter() - began) / max(1, len(measured))
-        share = (rejected + 0.5) / (len(measured) + 1)
-        found.append({"rule": rule.name, "cost": seconds, "rejection": share, "rank": share / max(seconds, 1e-9)})
-    return sorted(found, key=lambda x: (-x["rank"], x["rule"]))
+    for name, n, rejected, work in tried:
+        cost, share = work / max(1, n), (rejected + 0.5) / (n + 1)
+        found.append({"rule": name, "cost": cost, "rejection": share, "rank": share / max(cost, 1e-9) if n else 0.0})
+    return sorted(found, key=lambda x: -x["rank"])
+
+
+def sample_trials(documents: DataFrame, rules: tuple[Rule, ...], planning_rows: int) -> list[tuple[str, int, int, int]]:
+    """trials() over the texts of the planning_rows ids whose hashes are least; texts are measured where they are."""
+    drawn = documents.select("doc_id").where("doc_id IS NOT NULL").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(planning_rows)
+    texts = documents.select("doc_id", "text").join(F.broadcast(drawn), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            cols = zip(*trials(texts_as_bytes(batch["text"]), rules), strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["rule", "n", "rejected", "work"])
+
+    sums = texts.select("text").mapInArrow(run, "rule string, n long, rejected long, work long").groupBy("rule").agg(*[F.sum(c).alias(c) for c in ("n", "rejected", "work")]).collect()
+    by_name = {r["rule"]: (r["rule"], r["n"], r["rejected"], r["work"]) for r in sums}
+    return [by_name.get(r.name, (r.name, 0, 0, 0)) for r in rules]
 
 
 def first_rejection(m: Measured, ordered: list[Rule]) -> str | None:
@@ -146,11 +171,10 @@ def first_rejection(m: Measured, ordered: list[Rule]) -> str | None:
 def quality_rules(documents: DataFrame, rules: tuple[Rule, ...] = RULES, planning_rows: int = 200) -> DataFrame:
     """Per document the base measures, base_failed, kept and rejected_by.
 
-    planning_rows texts are read to order the rules; they decide cost only.
+    The texts of planning_rows ids are tried to order the rules; they decide cost, and which rule is named, only.
     """
-    drawn = documents.where(F.pmod(F.xxhash64("doc_id"), F.lit(17)) == 3).select(F.col("text").cast("binary").alias("text")).take(planning_rows)
     by_name = {x.name: x for x in rules}
-    ordered = [by_name[x["rule"]] for x in plan_order([bytes(x["text"] or b"") for x in drawn], rules)]
+    ordered = [by_name[x["rule"]] for x in plan_order(sample_trials(documents, rules, planning_rows))]
     schema = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, kept boolean, rejected_by string"
     names = [x.split()[0] for x in schema.split(", ")]
 

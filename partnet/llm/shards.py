@@ -12,8 +12,8 @@ places by their rank within the cell, which is small and never hot for a unique
 key. The law kept is `rows`.
 
 Defined results: null text has no bytes and crc32 0; null keys share one ring
-position with their texts spreading them within it; repeated rows are placed
-each on their own; an empty table gives no rows; extra columns are ignored.
+cell, repeated keys theirs, where their texts spread them if the cell is
+crowded; repeated rows are placed each on their own; an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -29,6 +29,8 @@ from pyspark.sql.window import Window
 CELLS = 1 << 16
 VIRTUAL_NODES = 96
 SPREAD = 8
+#: a cell is crowded from so many times the mean on, and from so many rows
+CROWDED, CROWDED_ROWS = 4, 64
 
 
 def ring(shards: int, virtual_nodes: int = VIRTUAL_NODES, cells: int = CELLS) -> list[tuple[int, int]]:
@@ -65,16 +67,19 @@ PLAN_SCHEMA = T.StructType(
 def shard_rows(documents: DataFrame, shards: int = 8, virtual_nodes: int = VIRTUAL_NODES, cells: int = CELLS) -> DataFrame:
     """Per document: doc_id, size, text_crc32, law, shard, slot, grown_shard, is_home.
 
-    The counts that reach the driver and the plan that is broadcast are bounded by the ring's cells.
+    The counts that reach the driver and the plan that is broadcast are bounded by the ring's cells; fewer than one in CROWDED is spread.
     """
     spark = documents.sparkSession
     body = F.coalesce(F.col("text"), F.lit(""))
     keyed = documents.select(
         "doc_id", (F.octet_length(body).cast("long") + 1).alias("size"), F.crc32(body.cast("binary")).alias("text_crc32"), F.xxhash64("doc_id").alias("spot")
-    ).select("*", F.pmod("spot", F.lit(cells)).cast("int").alias("cell"), F.when(F.col("doc_id").isNull(), F.pmod("text_crc32", F.lit(SPREAD))).otherwise(0).cast("int").alias("spread"))
-    ids = documents.select("doc_id", F.xxhash64("doc_id").alias("spot"), F.when(F.col("doc_id").isNull(), F.crc32(body.cast("binary"))).alias("code"))
-    counted = ids.groupBy(F.pmod("spot", F.lit(cells)).cast("int").alias("cell"), F.when(F.col("doc_id").isNull(), F.pmod("code", F.lit(SPREAD))).otherwise(0).cast("int").alias("spread")).agg(F.count(F.lit(1)).alias("n"))
-    counts = {(r["cell"], r["spread"]): r["n"] for r in counted.collect()}
+    ).select("*", F.pmod("spot", F.lit(cells)).cast("int").alias("cell"), F.pmod("text_crc32", F.lit(SPREAD)).cast("int").alias("spread"))
+    each = keyed.groupBy("cell", "spread").agg(F.count(F.lit(1)).alias("n"))
+    by_cell = {r["cell"]: r["n"] for r in each.groupBy("cell").agg(F.sum("n").alias("n")).collect()}
+    limit = max(CROWDED_ROWS, CROWDED * sum(by_cell.values()) / cells)
+    crowded = F.broadcast(spark.createDataFrame([(c, True) for c, n in by_cell.items() if n > limit], "cell int, crowded boolean"))
+    counts = {(c, 0): n for c, n in by_cell.items() if n <= limit} | {(r["cell"], r["spread"]): r["n"] for r in each.join(crowded, "cell", "left_semi").collect()}
+    keyed = keyed.join(crowded, "cell", "left").withColumn("spread", F.when(F.col("crowded"), F.col("spread")).otherwise(0)).drop("crowded")
     plan = F.broadcast(spark.createDataFrame(plan_cells(counts, shards, virtual_nodes, cells), PLAN_SCHEMA))
     rank = F.row_number().over(Window.partitionBy("cell", "spread").orderBy("spot", "text_crc32", "size")) - 1
     placed = keyed.withColumn("rank", rank).join(plan, ["cell", "spread"]).where((F.col("rank") >= F.col("lo")) & (F.col("rank") < F.col("hi")))

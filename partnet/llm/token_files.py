@@ -1,8 +1,10 @@
 """Token ids in ORC: integer run-length encoding, row indexes and Bloom filters on the document id.
 
-Documents are dealt out by ranges of doc_id, whose bounds are quantiles of the ids
-alone (texts are read once), and sorted before they are encoded, so file after file holds ascending ids; each row keeps its place in its file,
-its number of ids and the ids themselves. Readers take stripes in parallel, and
+Documents are dealt out by ranges of doc_id, whose bounds are quantiles of the
+ids, and sorted before they are encoded, so file after file holds ascending ids.
+An id with as many rows as several ranges gets as many files, and rows without
+an id get their share. Each row keeps its place in its file, its number of ids
+and the ids themselves. Readers take stripes in parallel, and
 the stripe statistics, row indexes and Bloom filters prune lookups by id.
 
 Defined results: a null or empty text is its end id alone; null ids come first;
@@ -23,6 +25,8 @@ from pyspark.sql.window import Window
 from partnet.llm.common import map_rows, scratch_path
 from partnet.llm.tokens import encoder
 
+FILE_BYTES = 512 << 20
+MOST_FILES = 8192
 #: 32-bit ids are stored as signed ORC integers; vocabularies stay far below 2**31.
 FILE_SCHEMA = "doc_id long, place long, n_tokens int, ids array<int>"
 ORC_OPTIONS = {
@@ -58,14 +62,42 @@ def encode_rows(documents: DataFrame, tokenizer_path: str, end_id: int) -> DataF
     return map_rows(documents.select("doc_id", "text"), start, FILE_SCHEMA)
 
 
+def files_for(rows: DataFrame, n_bytes: int) -> int:
+    """A file for FILE_BYTES of text, one for each shuffle partition at least, MOST_FILES at most."""
+    return max(1, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), min(MOST_FILES, -(-n_bytes // FILE_BYTES)))
+
+
+def range_number(doc_id, text, bounds: list[int], n_null: int):
+    """Which of n_null + len(bounds) + 1 ranges a row belongs to. Bounds ascend; one that recurs has its rows dealt over its ranges by their texts."""
+    steps = sorted(set(bounds))
+    first = {x: bounds.index(x) for x in steps}
+    many = {x: bounds.count(x) for x in steps}
+    groups = [steps[k : k + 64] for k in range(0, len(steps), 64)]
+    longs = lambda xs: F.array(*[F.lit(x).cast("long") for x in xs])
+    reached = lambda xs: F.size(F.filter(xs, lambda x: x <= doc_id))
+    if steps:
+        at = reached(longs([g[0] for g in groups]))  # two short scans instead of one over all bounds
+        within = F.when(at > 0, (at - 1) * 64 + reached(F.element_at(F.array(*map(longs, groups)), F.greatest(at, F.lit(1))))).otherwise(0)
+        starts, counts = longs([0, *(first[x] + 1 for x in steps)]), longs([1, *(many[x] if many[x] > 1 else 1 for x in steps)])
+        own = longs([0, *steps])
+        begin, several = F.element_at(starts, within + 1), F.element_at(counts, within + 1)
+        hot = (F.element_at(own, within + 1) == doc_id) & (several > 1) & (within > 0)
+        number = F.when(hot, begin + F.pmod(F.xxhash64(text), several)).otherwise(F.when(within > 0, begin + several - 1).otherwise(F.lit(0).cast("long")))
+    else:
+        number = F.lit(0).cast("long")
+    null_range = F.pmod(F.xxhash64(text), F.lit(max(1, n_null)))
+    return F.when(doc_id.isNull(), null_range).otherwise(number + n_null).cast("int")
+
+
 def dealt_by_range(rows: DataFrame) -> DataFrame:
-    """rows in ascending ranges of doc_id, nulls in the first; equal ids stay together."""
-    most = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    """rows in ascending ranges of doc_id, nulls first."""
+    facts = rows.agg(F.count(F.lit(1)).alias("n"), F.count("doc_id").alias("named"), F.sum(F.octet_length("text")).alias("bytes")).first()
+    most = files_for(rows, facts["bytes"] or 0)
+    n_null = -(-most * (facts["n"] - facts["named"]) // facts["n"]) if facts["n"] else 0
     shares = [k / most for k in range(1, most)] or [0.5]
-    found = rows.agg(F.percentile_approx("doc_id", shares, 100 * most).alias("bounds")).first()["bounds"]
-    bounds = sorted(set(found or []))
-    below = F.array(*[F.lit(x).cast("long") for x in bounds]) if bounds else F.array().cast("array<long>")
-    return rows.repartitionById(len(bounds) + 1, F.coalesce(F.size(F.filter(below, lambda x: x <= F.col("doc_id"))), F.lit(0)))
+    bounds = rows.agg(F.percentile_approx("doc_id", shares, 100 * most).alias("bounds")).first()["bounds"] or []
+    number = range_number(F.col("doc_id"), F.col("text"), sorted(bounds), n_null)
+    return rows.repartitionById(n_null + len(bounds) + 1, number)
 
 
 def write_token_files(documents: DataFrame, path: str, tokenizer_path: str, end_id: int = 2) -> None:

@@ -251,8 +251,22 @@ def test_verdict_does_not_depend_on_order(real):
     for text in texts:
         m = rules.measure(text)
         assert (rules.first_rejection(m, list(rules.RULES)) is None) == (rules.first_rejection(m, list(reversed(rules.RULES))) is None)
-    order = rules.plan_order(texts)
+    order = rules.plan_order(rules.trials(texts))
     assert [x["rank"] for x in order] == sorted((x["rank"] for x in order), reverse=True)
+    named = lambda df: sorted(str((r.doc_id, r.rejected_by)) for r in rules.quality_rules(df).collect())
+    assert named(real) == named(real.repartition(5))
+
+
+def test_letters_are_those_of_the_categories(spark, real):
+    """Powers, fractions and circled letters are no letters; capitals are Lu alone. The order of the rules comes from counts over the sample."""
+    import unicodedata
+
+    texts = [" ".join(["²½ ¾¼"] * 40), " ".join(["Ⓐ① ab"] * 40), " ".join(f"ÄÖ{k} ªº" for k in range(40)), " ".join(f"ǅ{k} Ab" for k in range(40)), " ".join(f"日本{k} ǅZz" for k in range(60))]
+    for text in texts + [r.text for r in real.limit(60).collect()]:
+        m = rules.measure(text.encode())
+        kinds = [unicodedata.category(x) for x in text]
+        lettered = sum(any(unicodedata.category(x)[0] == "L" for x in w) for w in words(text))
+        assert rules.few_words_with_letters(m) == (10 * lettered < 7 * len(m.words)) and rules.shouting(m) == (kinds.count("Lu") > kinds.count("Ll"))
 
 
 # --- tokens, packing, files ---
@@ -358,6 +372,21 @@ def test_best_fit_plan_against_documents():
     assert sum(r.count for r in rows) == 400
 
 
+def test_ranges_ascend_and_split_repeated_ids(spark):
+    """Every row's range, for few and many bounds: ranges ascend with the id, an id of several ranges fills them, nulls come first."""
+    rng = np.random.default_rng(4)
+    ids = sorted([*rng.integers(-50, 5000, 400).tolist(), *[77] * 500, *[4000] * 120])
+    df = spark.createDataFrame([(i, f"t{k}") for k, i in enumerate([*ids, *[None] * 90])], "doc_id long, text string")
+    for n in (1, 3, 40, 300):
+        bounds = [ids[len(ids) * k // n] for k in range(1, n)]
+        rows = df.select("doc_id", token_files.range_number(F.col("doc_id"), F.col("text"), bounds, 3).alias("at")).collect()
+        assert {r.at for r in rows if r.doc_id is None} == {0, 1, 2}
+        named = sorted((r.at, r.doc_id) for r in rows if r.doc_id is not None)
+        assert [i for _, i in named] == ids and named[0][0] >= 3 and named[-1][0] <= 3 + len(bounds)
+        if n == 40:
+            assert len({at for at, i in named if i == 77}) == bounds.count(77) > 10
+
+
 def test_token_files(spark, docs, empty, tmp_path):
     path = public_tokenizers.path("word_bpe_49k.json")
     token_files.write_token_files(docs, str(tmp_path / "t"), path)
@@ -580,6 +609,30 @@ def test_shards(docs, real, empty):
     assert shards.shard_rows(empty).count() == 0
 
 
+def test_every_place_against_a_walk_of_the_ring(spark, docs, real):
+    """Shards and slots of whole tables against a walk in plain Python: rows clockwise from cell 0, each to the next shard with room."""
+    hot = real.limit(40).unionAll(real.limit(40)).unionAll(real.limit(1).withColumn("doc_id", F.lit(7))).unionAll(real.withColumn("doc_id", F.lit(7).cast("long")))
+    for df in (docs.select("doc_id", "text"), real.select("doc_id", "text"), hot.select("doc_id", "text")):
+        spots = df.select("doc_id", F.xxhash64("doc_id").alias("spot"), "text").collect()
+        rows, crowd = [], {}
+        for _, spot, _ in spots:
+            crowd[spot % shards.CELLS] = crowd.get(spot % shards.CELLS, 0) + 1
+        for i, spot, text in spots:
+            body, cell = (text or "").encode(), spot % shards.CELLS
+            spread = zlib.crc32(body) % 8 if crowd[cell] > max(64, 4 * len(spots) / shards.CELLS) else 0
+            rows.append((cell, spread, spot, zlib.crc32(body), len(body) + 1, i))
+        nodes = sorted((xxhash.xxh64_intdigest(f"{s}/{v}", 0) % shards.CELLS, s) for s in range(8) for v in range(shards.VIRTUAL_NODES))
+        room = [len(rows) // 8 + (s < len(rows) % 8) for s in range(8)]
+        used, want = [0] * 8, []
+        for cell, _, _, code, size, i in sorted(rows, key=lambda r: r[:5]):
+            ahead = [s for c, s in nodes if c >= cell] + [s for c, s in nodes if c < cell]
+            shard = next(s for s in ahead if used[s] < room[s])
+            want.append((i, size, code, "rows", shard, used[shard], None))
+            used[shard] += 1
+        got = shards.shard_rows(df).drop("is_home").collect()
+        assert sorted(map(str, want)) == sorted(str(tuple(r)) for r in got)
+
+
 def test_only_overflow_leaves_home():
     counts = {(c * 64, 0): 3 for c in range(1000)}
     plan = shards.plan_cells(counts, 8)
