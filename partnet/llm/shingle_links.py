@@ -45,7 +45,7 @@ from partnet.llm.simhash import bit_counts, link_edges, majority_bits, plan_thre
 TOP, BOTTOM = 4, 5
 CELL_BITS = 16
 SMALL = 32
-STAR_ROUNDS = 3
+STAR_ROUNDS = 2
 UNIT_BLOCK = 512
 WORD_CACHE = 200_000
 FACTOR = np.uint64(0x9E3779B97F4A7C15)
@@ -231,8 +231,13 @@ def small_pairs(members: DataFrame) -> DataFrame:
 
 
 def star_pairs(members: DataFrame, salt: int) -> DataFrame:
-    """(a, b) of one member of each bucket, another for each salt, with all that are not yet with it."""
-    centre = materialize(members.groupBy("key").agg(F.min(F.struct(F.xxhash64("node", F.lit(salt)).alias("h"), "node", "root")).alias("c")).select("key", F.col("c.node").alias("centre"), F.col("c.root").alias("its")), "near-centres")
+    """(a, b) of one member of each bucket, another for each salt, with all that are not yet with it.
+
+    The first is the member with most of its prefix in large buckets: copies that were changed much have rare shingles there instead,
+    so it is nearest to the others.
+    """
+    order = F.struct((-F.col("score") if not salt else F.lit(0)).alias("s"), F.xxhash64("node", F.lit(salt)).alias("h"), "node", "root")
+    centre = materialize(members.groupBy("key").agg(F.min(order).alias("c")).select("key", F.col("c.node").alias("centre"), F.col("c.root").alias("its")), "near-centres")
     met = members.join(centre, "key").where("root != its")
     return met.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b"))
 
@@ -281,14 +286,16 @@ def node_roots(documents: DataFrame, printed: DataFrame, shingle: int = 5, small
     under = filed(documents, cell_loads(printed), shingle)
     met = materialize(under.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1"), "near-buckets")
     members = materialize(materialize(under.join(met, "key"), "near-filed").distinct(), "near-members")
-    large = members.where(F.col("size") > small).select("key", "node").withColumn("root", F.col("node"))
+    filed_large = members.where(F.col("size") > small).select("key", "node")
+    scores = materialize(filed_large.groupBy("node").agg(F.count(F.lit(1)).alias("score")), "near-scores")
+    large = materialize(filed_large.join(scores, "node").withColumn("root", F.col("node")), "near-large")
     pairs = print_pairs(printed, distance).unionAll(small_pairs(members.where(F.col("size") <= small))).unionAll(star_pairs(large, 0))
     links = materialize(checked(materialize(pairs.distinct(), "near-pairs"), documents, printed, shingle), "near-links")
     for salt in range(1, STAR_ROUNDS + 1):
         roots = components(links, "near-roots")
         now = large.drop("root").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
         mixed = now.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("key")
-        large = materialize(now.join(materialize(mixed, "near-mixed"), "key", "left_semi").select("key", "node", "root"), "near-large")
+        large = materialize(now.join(materialize(mixed, "near-mixed"), "key", "left_semi").select("key", "node", "score", "root"), "near-large")
         if not large.take(1):
             return roots
         pairs = star_pairs(large, salt) if salt < STAR_ROUNDS else block_pairs(large, printed)
