@@ -6,29 +6,25 @@ cluster have parted, masses, three informations); tables stay distributed.
 
 from __future__ import annotations
 
+import json
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from partnet.functions.expr import gathered, vector_sum
-from partnet.operators.joint import marginal
+from partnet.operators.compact import Schedule
+from partnet.operators.joint import marginal, ranked
 from partnet.operators.model import Model, cluster_mass, pair_info
-from partnet.operators.solve import StopRule, solve
+from partnet.operators.solve import StopRule, lcg_noise, solve
 from partnet.plans.graph import BottleneckSpec, TradeOff
 from partnet.sources.tables import cut_lineage
 
 
-def lcg_noise(i, t, level: int):
-    """Noise in [-1/2, 1/2] from whole numbers, the same in every engine."""
-    return F.pmod(i * 7919 + t * 104729 + F.lit(level * 1299709), F.lit(10007)).cast("double") / 10006 - 0.5
-
-
-def double_values(part: DataFrame, sources: list[str], k: int, alpha: float = 1.0, level: int = 0, noise: str = "lcg", seed: int = 0) -> DataFrame:
+def double_values(part: DataFrame, sources: list[str], k: int, alpha: float = 1.0, level: int = 0, noise: str = "uniform", seed: int = 0) -> DataFrame:
     """Two copies of every cluster, at places 2t and 2t+1, that add up to it: q (1/2 +- alpha e)."""
     if noise == "lcg":
-        rows = part.withColumn("i", F.row_number().over(Window.orderBy(*sources)) - 1)
+        rows = ranked(part, sources)
         e = lambda t: lcg_noise(F.col("i"), t, level)
     elif noise == "uniform":
         rows = part
@@ -66,42 +62,82 @@ class AnnealResult:
     curve: list[tuple[int, float, str, int, float, float, bool]]
 
 
-def anneal(joint: DataFrame, spec: BottleneckSpec, weights: list[float], alpha: float = 1.0, threshold: float = 0.05, max_k: int = 16, noise: str = "lcg", seed: int = 0, stop: StopRule = StopRule(1e-5, 40)) -> AnnealResult:
-    """Starts with one value for each cluster variable and raises the weight through the list given."""
+class State:
+    """An anneal's progress in a folder: after each step the tables, the cluster names, tree and curve. A stopped run goes on from the last whole step."""
+
+    def __init__(self, spark: SparkSession, folder: str):
+        self.spark, self.folder = spark, folder.rstrip("/")
+
+    def steps(self) -> list[int]:
+        jvm = self.spark.sparkContext._jvm
+        path = jvm.org.apache.hadoop.fs.Path(self.folder)
+        system = path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
+        names = [x.getPath().getName() for x in system.listStatus(path)] if system.exists(path) else []
+        # notes are written last, so a step without them is not whole
+        return sorted(int(n[5:]) for n in names if n.startswith("step=") and system.exists(jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{n}/notes/_SUCCESS")))
+
+    def save(self, step: int, parts: dict[str, DataFrame], notes: dict) -> None:
+        at = f"{self.folder}/step={step}"
+        for t, part in parts.items():
+            part.write.mode("overwrite").parquet(f"{at}/part={t}")
+        self.spark.createDataFrame([(json.dumps(notes),)], "notes string").coalesce(1).write.mode("overwrite").json(f"{at}/notes")
+
+    def load(self, step: int, clusters: tuple[str, ...]) -> tuple[dict[str, DataFrame], dict]:
+        at = f"{self.folder}/step={step}"
+        return {t: self.spark.read.parquet(f"{at}/part={t}") for t in clusters}, json.loads(self.spark.read.schema("notes string").json(f"{at}/notes").first()["notes"])
+
+
+def anneal(
+    joint: DataFrame, spec: BottleneckSpec, weights: list[float] | Schedule, alpha: float = 1.0, threshold: float = 0.05, max_k: int = 16, noise: str = "uniform", seed: int = 0,
+    stop: StopRule = StopRule(1e-5, 40), stop_gain: float | None = None, folder: str | None = None,
+) -> AnnealResult:
+    """Starts with one value for each cluster variable and raises the weight through the schedule.
+
+    noise: uniform (a hash of the values) or lcg (whole numbers by rank). stop_gain ends the run once a split adds less relevance, in bits;
+    mi_bias() of the joint is a fitting floor. folder: where each step's state is written, and from where a stopped run goes on.
+    """
+    weights = list(weights.values) if isinstance(weights, Schedule) else list(weights)
     cells = cut_lineage(marginal(joint, list(spec.observed)))
     one = F.array(F.lit(1.0)).alias("q")
     model = Model(spec, cells, {t: marginal(cells, list(spec.sources(t))).select(*spec.sources(t), one) for t in spec.clusters}, dict.fromkeys(spec.clusters, 1))
-    paths = {t: ["0"] for t in spec.clusters}
-    tree: list = [(t, "0", None, 0, 0.0, 1.0, False) for t in spec.clusters]
-    curve: list = []
-    for step, value in enumerate(weights):
-        trade = TradeOff(spec.objective, value)
-        before = dict(model.sizes)
+    notes: dict = {"paths": {t: ["0"] for t in spec.clusters}, "tree": [(t, "0", None, 0, 0.0, 1.0, False) for t in spec.clusters], "curve": [], "done": False}
+    state, begin = State(joint.sparkSession, folder) if folder else None, 0
+    if state and (found := state.steps()):
+        begin = found[-1] + 1
+        model.parts, notes = state.load(found[-1], spec.clusters)
+        model.sizes = {t: len(names) for t, names in notes["paths"].items()}
+    for step, value in list(enumerate(weights))[begin:]:
+        if notes["done"]:
+            break
+        trade, before, gained = TradeOff(spec.objective, value), dict(model.sizes), []
         for t in spec.clusters:
-            model.parts[t] = cut_lineage(double_values(model.parts[t], list(spec.sources(t)), before[t], alpha, step, noise, seed))
+            beside = [u for u in spec.clusters if spec.sources(u) == spec.sources(t)].index(t)
+            model.parts[t] = cut_lineage(double_values(model.parts[t], list(spec.sources(t)), before[t], alpha, step + 31 * beside, noise, seed))
             model.sizes[t] = 2 * before[t]
         solve(model, trade, "async", stop)
+        apart = {}
         for t in spec.clusters:
             sources = list(spec.sources(t))
             gaps = {r["t"]: r["gap"] for r in split_gaps(model.parts[t], model.mass(t), sources, before[t]).collect()}
-            room = max_k - before[t]
-            widest = sorted(gaps, key=lambda i: -gaps[i])[: max(0, room)]
-            apart = [gaps[i] > threshold and i in widest for i in range(before[t])]
-            masses = cluster_mass(model, t).first()["pt"]
-            names = []
-            for i, yes in enumerate(apart):
+            widest = sorted(gaps, key=lambda i: (-gaps[i], i))[: max(0, max_k - before[t])]
+            apart[t] = [gaps[i] > threshold and i in widest for i in range(before[t])]
+            masses, names = cluster_mass(model, t).first()["pt"], []
+            for i, (path, yes) in enumerate(zip(notes["paths"][t], apart[t], strict=True)):
+                names += [f"{path}.{j}" for j in range(2)] if yes else [path]
                 if yes:
-                    for j in range(2):
-                        names.append(f"{paths[t][i]}.{j}")
-                        tree.append((t, names[-1], paths[t][i], names[-1].count("."), value, float(masses[2 * i + j]), True))
-                else:
-                    names.append(paths[t][i])
-            model.parts[t] = cut_lineage(merge_copies(model.parts[t], sources, apart))
-            model.sizes[t], paths[t] = len(names), names
-            rest = tuple(v for v in spec.observed if v not in sources)
-            info = [float(pair_info(model, (t,), about).first()["mutual_info"]) for about in (tuple(sources), rest)]
-            curve.append((step, value, t, len(names), *info, any(apart)))
-    return AnnealResult(model, tree, curve)
+                    notes["tree"] += [(t, f"{path}.{j}", path, path.count(".") + 1, value, float(masses[2 * i + j]), True) for j in range(2)]
+            model.parts[t] = cut_lineage(merge_copies(model.parts[t], sources, apart[t]))
+            model.sizes[t], notes["paths"][t] = len(names), names
+        for t in spec.clusters:
+            rest = tuple(v for v in spec.observed if v not in spec.sources(t))
+            info = [float(pair_info(model, (t,), about).first()["mutual_info"]) for about in (spec.sources(t), rest)]
+            past = [r[5] for r in notes["curve"] if r[2] == t]
+            gained.append(info[1] - past[-1] if past else info[1])
+            notes["curve"].append((step, value, t, model.sizes[t], *info, any(apart[t])))
+        notes["done"] = stop_gain is not None and step > 0 and any(map(any, apart.values())) and max(gained) < stop_gain
+        if state:
+            state.save(step, model.parts, notes)
+    return AnnealResult(model, [tuple(x) for x in notes["tree"]], [tuple(x) for x in notes["curve"]])
 
 
 def critical_beta(joint: DataFrame, a: str, b: str, iterations: int = 20) -> DataFrame:
@@ -112,7 +148,7 @@ def critical_beta(joint: DataFrame, a: str, b: str, iterations: int = 20) -> Dat
     cells = marginal(joint, [a, b])
     pa, pb = marginal(cells, [a]).withColumnRenamed("p", "pa"), marginal(cells, [b]).withColumnRenamed("p", "pb")
     scaled = cut_lineage(cells.join(pa, a).join(pb, b).select(a, b, "pb", (F.col("p") / F.sqrt(F.col("pa") * F.col("pb"))).alias("m")))
-    vector = pb.withColumn("i", F.row_number().over(Window.orderBy(b))).select(b, "pb", (F.pmod(F.col("i") * 7919, F.lit(10007)) / 10007.0).alias("v"))
+    vector = ranked(pb, [b]).select(b, "pb", (F.pmod((F.col("i") + 1) * 7919, F.lit(10007)) / 10007.0).alias("v"))
     ratio = None
     for _ in range(iterations):
         first = vector.agg(F.sum(F.col("v") * F.sqrt("pb")).alias("dot"))

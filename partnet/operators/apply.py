@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from partnet.functions.expr import safe_ln, softmax
-from partnet.operators.joint import conditional, marginal
+from partnet.operators.joint import conditional, ranked
 from partnet.operators.model import Model, marginal_of
 
 
@@ -59,8 +59,7 @@ def permuted(joint: DataFrame, rows: DataFrame, cols: DataFrame, a: str, b: str)
     """Cells with positions that put clusters side by side: (row_pos, col_pos, row_cluster, col_cluster, p)."""
 
     def places(labels: DataFrame, v: str, prefix: str) -> DataFrame:
-        at = F.row_number().over(Window.orderBy("t", v)) - 1
-        return labels.select(F.col(v), at.alias(f"{prefix}_pos"), F.col("t").alias(f"{prefix}_cluster"))
+        return ranked(labels.select(v, "t"), ["t", v], f"{prefix}_pos").withColumnRenamed("t", f"{prefix}_cluster")
 
     return joint.join(places(rows, a, "row"), a).join(places(cols, b, "col"), b).select("row_pos", "col_pos", "row_cluster", "col_cluster", "p")
 
@@ -72,7 +71,7 @@ def neighbour_variation(cells: DataFrame) -> DataFrame:
 
 
 def hardness(part: DataFrame) -> DataFrame:
-    """One row: mean and least largest share, mean effective number of clusters."""
+    """One row: mean and least largest share, mean effective number of clusters (the exponential of a row's entropy)."""
     h = F.aggregate("q", F.lit(0.0), lambda acc, x: acc - F.when(x > 0, x * F.ln(x)).otherwise(0.0))
     return part.agg(F.avg(F.array_max("q")).alias("mean_max"), F.min(F.array_max("q")).alias("least_max"), F.avg(F.exp(h)).alias("effective"))
 
@@ -115,7 +114,3 @@ def score_new(model: Model, cluster: str, about: str, cells: DataFrame, exponent
 def label_rows(facts: DataFrame, part: DataFrame, sources: list[str]) -> DataFrame:
     """A fact table with t and confidence; rows with unseen values stay, unlabelled."""
     return facts.join(assign(part, sources), sources, "left")
-
-
-def marginal_mass(joint: DataFrame, v: str) -> DataFrame:
-    return marginal(joint, [v])

@@ -11,9 +11,9 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from partnet.functions.expr import kl_term, safe_ln, unit_scale, xlogx
+from partnet.functions.expr import kl_term, unit_scale, xlogx
 from partnet.operators.joint import conditional, marginal
-from partnet.plans.graph import Dag
+from partnet.plans.graph import BottleneckSpec, Dag
 
 
 def entropies(joint: DataFrame, sets: list[tuple[str, ...]], unit: str = "bits") -> DataFrame:
@@ -124,6 +124,17 @@ def is_consistent(joint: DataFrame, dag: Dag, tol: float = 1e-9) -> DataFrame:
     return projection_gap(joint, dag).select("gap", (F.col("gap") <= tol).alias("consistent"))
 
 
+def observed_gap(joint: DataFrame, spec: BottleneckSpec, tol: float = 1e-9) -> DataFrame:
+    """One row (gap, consistent): how far the joint is from those that the compression network's observed part allows.
+
+    Without edges between observed variables the network is taken as complete there, which allows every joint.
+    """
+    edges = {v: tuple(p for p in spec.g_in.parents.get(v, ()) if p in spec.observed) for v in spec.observed}
+    if not any(edges.values()):
+        return joint.agg(F.lit(0.0).alias("gap"), F.lit(True).alias("consistent"))
+    return is_consistent(marginal(joint, list(spec.observed)), Dag(edges), tol)
+
+
 def kl_divergence(p: DataFrame, q: DataFrame, keys: list[str], unit: str = "bits", by: list[str] | None = None) -> DataFrame:
     """Between tables (keys, p); rows that q lacks make it infinite. by: a divergence for each of these columns of p."""
     by = by or []
@@ -137,7 +148,7 @@ def value_contribution(joint: DataFrame, variable: str, about: str, unit: str =
     scale = unit_scale(unit)
     own = marginal(joint, [variable]).withColumnRenamed("p", "pv")
     other = marginal(joint, [about]).withColumnRenamed("p", "pc")
-    cells = marginal(joint, [variable, about]).join(own, variable).join(F.broadcast(other), about)
+    cells = marginal(joint, [variable, about]).join(own, variable).join(other, about)
     return cells.groupBy(variable).agg(F.first("pv").alias("p"), (F.sum(F.col("p") * (F.ln("p") - F.ln("pv") - F.ln("pc"))) * scale).alias("contribution"))
 
 
@@ -164,7 +175,3 @@ def overlap_identity(extended: DataFrame, a: str, t1: str, t2: str, unit: str =
         unit,
     )
     return both.select("joint_side", (F.col("first") + F.col("second") - F.col("overlap")).alias("sum_side"), "overlap")
-
-
-def log_ratio(p: Column, q: Column) -> Column:
-    return safe_ln(p) - safe_ln(q)

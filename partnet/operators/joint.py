@@ -38,13 +38,34 @@ def conditional(joint: DataFrame, of: list[str], given: list[str]) -> DataFrame:
     return both.join(base, given).select(*given, *of, (F.col("p") / F.col("base")).alias("p_cond"))
 
 
-def encode(joint: DataFrame, variables: list[str]) -> tuple[DataFrame, DataFrame]:
-    """Integer codes for values: (joint of codes, dictionary(var, code, value)). Codes follow the values' order."""
+def ranked(rows: DataFrame, order: list, name: str = "i", summed: str | None = None) -> DataFrame:
+    """rows with their place from 0 in the given order, without one task for all: sorted ranges, each with the counts of those before it.
+
+    summed: a column whose running total, this row included, is added as `reached`. The sorted rows are written once, so that ranges and
+    counts agree; there is one row of counts for each range, as many as the engine's partitions.
+    """
     from pyspark.sql.window import Window
 
+    from partnet.sources.tables import cut_lineage
+
+    part, at = f"{name}_part", f"{name}_at"
+    dealt = cut_lineage(rows.repartitionByRange(*order).sortWithinPartitions(*order).withColumn(at, F.monotonically_increasing_id()))
+    dealt = dealt.withColumn(part, F.shiftright(at, 33)).withColumn(at, F.col(at).bitwiseAND(F.lit((1 << 33) - 1)))
+    counts = dealt.groupBy(part).agg(F.count(F.lit(1)).alias("n"), (F.sum(summed) if summed else F.lit(0.0)).alias("s"))
+    x, y = (counts.select(F.col(part).alias(f"{k}b"), F.col("n").alias(f"{k}n"), F.col("s").alias(f"{k}s")) for k in "xy")
+    before = x.join(y, F.col("yb") < F.col("xb"), "left").groupBy(F.col("xb").alias(part)).agg(F.coalesce(F.sum("yn"), F.lit(0)).alias("n_before"), F.coalesce(F.sum("ys"), F.lit(0.0)).alias("s_before"))
+    placed = dealt.join(F.broadcast(before), part).withColumn(name, F.col("n_before") + F.col(at))
+    if summed:
+        inside = Window.partitionBy(part).orderBy(at).rowsBetween(Window.unboundedPreceding, 0)
+        placed = placed.withColumn("reached", F.col("s_before") + F.sum(summed).over(inside))
+    return placed.drop(part, at, "n_before", "s_before")
+
+
+def encode(joint: DataFrame, variables: list[str]) -> tuple[DataFrame, DataFrame]:
+    """Integer codes for values: (joint of codes, dictionary(var, code, value)). Codes follow the values' order."""
     dictionary = None
     for v in variables:
-        codes = joint.select(F.col(v).alias("value")).distinct().withColumn("code", F.row_number().over(Window.orderBy("value")) - 1)
+        codes = ranked(joint.select(F.col(v).alias("value")).distinct(), ["value"], "code")
         joint = joint.join(codes.withColumnRenamed("code", f"{v}__code"), F.col(v) == F.col("value")).drop(v, "value").withColumnRenamed(f"{v}__code", v)
         rows = codes.select(F.lit(v).alias("var"), "code", F.col("value").cast("string").alias("value"))
         dictionary = rows if dictionary is None else dictionary.unionByName(rows)

@@ -10,10 +10,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from partnet.functions.expr import gathered, safe_ln, softmax, unit_scale, vector_sum, xlogx
+from partnet.functions.expr import gathered, safe_ln, softmax, vector_sum
 from partnet.operators.joint import marginal
 from partnet.plans.graph import BottleneckSpec, Term, TradeOff, update_rule
 
@@ -27,6 +28,13 @@ class Model:
     parts: dict[str, DataFrame]
     sizes: dict[str, int]
     sources_mass: dict[str, DataFrame] = field(default_factory=dict)
+    #: marginals that an update reads twice, held until it is written
+    held: list[DataFrame] = field(default_factory=list)
+
+    def release(self) -> None:
+        for x in self.held:
+            x.unpersist()
+        self.held = []
 
     def mass(self, cluster: str) -> DataFrame:
         """(sources, pu)."""
@@ -48,10 +56,10 @@ def marginal_of(model: Model, keep: tuple[str, ...]) -> DataFrame:
         now = now.join(model.parts[t], list(spec.sources(t)))
         if set(stay) != set(now.columns) - {"p", "q"}:
             sums = vector_sum(k, lambda j: F.col("p") * F.col("q")[j])
-            now = now.groupBy(*stay).agg(*sums).select(*stay, gathered(k).alias("pq"))
+            now = now.groupBy(*stay).agg(*sums).select(*stay, gathered(k).alias("pq__"))
         else:
-            now = now.select(*stay, F.transform("q", lambda x: x * F.col("p")).alias("pq"))
-        now = now.select(*stay, F.posexplode("pq").alias(t, "p"))
+            now = now.select(*stay, F.transform("q", lambda x: x * F.col("p")).alias("pq__"))
+        now = now.select(*stay, F.posexplode("pq__").alias(t, "p"))
         wanted = [v for v in wanted if v in stay]
     return now.groupBy(*keep).agg(F.sum("p").alias("p")) if set(now.columns) - {"p"} != set(keep) else now.select(*keep, "p")
 
@@ -72,16 +80,19 @@ def term_cost(model: Model, cluster: str, term: Term) -> DataFrame:
     sources, k = list(model.spec.sources(cluster)), model.sizes[cluster]
     yz = list(dict.fromkeys((*term.y, *term.z)))
     # a source that recurs in y or z keeps one column: only agreeing values weigh
-    w = marginal_of(model, tuple(dict.fromkeys((*sources, *yz)))).withColumnRenamed("p", "w")
-    profile = w.join(model.parts[cluster], sources).groupBy(*yz).agg(*vector_sum(k, lambda i: F.col("w") * F.col("q")[i])).select(*yz, gathered(k).alias("m"))
+    w = marginal_of(model, tuple(dict.fromkeys((*sources, *yz)))).withColumnRenamed("p", "w__")
+    if any(v in model.spec.clusters for v in yz):  # else the joint itself, or a sum of it
+        w = w.persist(StorageLevel.MEMORY_AND_DISK)
+        model.held.append(w)
+    profile = w.join(model.parts[cluster], sources).groupBy(*yz).agg(*vector_sum(k, lambda i: F.col("w__") * F.col("q")[i])).select(*yz, gathered(k).alias("m__"))
     if term.z:
-        base = profile.groupBy(*term.z).agg(*vector_sum(k, lambda i: F.col("m")[i])).select(*term.z, gathered(k).alias("base"))
+        base = profile.groupBy(*term.z).agg(*vector_sum(k, lambda i: F.col("m__")[i])).select(*term.z, gathered(k).alias("base__"))
         profile = profile.join(base, list(term.z))
     else:
-        base = profile.agg(*vector_sum(k, lambda i: F.col("m")[i])).select(gathered(k).alias("base"))
+        base = profile.agg(*vector_sum(k, lambda i: F.col("m__")[i])).select(gathered(k).alias("base__"))
         profile = profile.crossJoin(F.broadcast(base))
-    logs = profile.select(*yz, F.zip_with("m", "base", lambda m, n: safe_ln(m) - safe_ln(n)).alias("lp"))
-    costs = w.join(logs, yz).groupBy(*sources).agg(*vector_sum(k, lambda i: -F.col("w") * F.col("lp")[i]))
+    logs = profile.select(*yz, F.zip_with("m__", "base__", lambda m, n: safe_ln(m) - safe_ln(n)).alias("lp__"))
+    costs = w.join(logs, yz).groupBy(*sources).agg(*vector_sum(k, lambda i: -F.col("w__") * F.col("lp__")[i]))
     scaled = costs.select(*sources, gathered(k).alias("d")).join(model.mass(cluster), sources)
     return scaled.select(*sources, F.transform("d", lambda x: x / F.col("pu") * F.lit(term.weight)).alias("d"))
 
@@ -92,7 +103,7 @@ def distortion(model: Model, cluster: str, terms: list[Term]) -> DataFrame:
     total = None
     for term in terms:
         one = term_cost(model, cluster, term)
-        total = one if total is None else total.join(one.withColumnRenamed("d", "e"), sources).select(*sources, F.zip_with("d", "e", lambda a, b: a + b).alias("d"))
+        total = one if total is None else total.join(one.withColumnRenamed("d", "e__"), sources).select(*sources, F.zip_with("d", "e__", lambda a, b: a + b).alias("d"))
     return total
 
 
@@ -103,16 +114,27 @@ def update_step(model: Model, cluster: str, trade: TradeOff, form: str | None =
     pt = F.broadcast(cluster_mass(model, cluster))
     if exponent == 0:
         return model.parts[cluster].crossJoin(pt).select(*sources, F.col("pt").alias("q"))
-    scores = distortion(model, cluster, terms).crossJoin(pt).select(*sources, F.zip_with("pt", "d", lambda p, d: safe_ln(p) - F.lit(exponent) * d).alias("s"))
-    return scores.select(*sources, softmax(F.col("s")).alias("q"))
+    scores = distortion(model, cluster, terms).crossJoin(pt).select(*sources, F.zip_with("pt", "d", lambda p, d: safe_ln(p) - F.lit(exponent) * d).alias("s__"))
+    return scores.select(*sources, softmax(F.col("s__")).alias("q"))
+
+
+def log_partition(model: Model, cluster: str, trade: TradeOff, form: str | None = None) -> DataFrame:
+    """(sources, log_z): the logarithm of what normalises the update, the sum over t of P(t) exp(-exponent * d)."""
+    exponent, terms = update_rule(model.spec, cluster, trade, form)
+    sources, pt = list(model.spec.sources(cluster)), F.broadcast(cluster_mass(model, cluster))
+    if exponent == 0:
+        return model.parts[cluster].select(*sources, F.lit(0.0).alias("log_z"))
+    scores = distortion(model, cluster, terms).crossJoin(pt).select(*sources, F.zip_with("pt", "d", lambda p, d: safe_ln(p) - F.lit(exponent) * d).alias("s__"))
+    top = F.array_max("s__")
+    return scores.select(*sources, (top + F.ln(F.aggregate("s__", F.lit(0.0), lambda acc, x: acc + F.exp(x - top)))).alias("log_z"))
 
 
 def harden(model: Model, cluster: str, trade: TradeOff) -> DataFrame:
     """The limit of an infinite weight: every source combination goes to its least distortion, the smallest t of equals."""
     _, terms = update_rule(model.spec, cluster, trade)
     k, sources = model.sizes[cluster], list(model.spec.sources(cluster))
-    best = F.array_position(F.col("r"), F.array_min("r")).cast("int") - 1
-    rows = distortion(model, cluster, terms).select(*sources, F.transform("d", lambda x: F.round(x, 12)).alias("r")).select(*sources, best.alias("t"))
+    best = F.array_position(F.col("r__"), F.array_min("r__")).cast("int") - 1
+    rows = distortion(model, cluster, terms).select(*sources, F.transform("d", lambda x: F.round(x, 12)).alias("r__")).select(*sources, best.alias("t"))
     return rows.select(*sources, "t", F.transform(F.sequence(F.lit(0), F.lit(k - 1)), lambda i: F.when(i == F.col("t"), 1.0).otherwise(0.0)).alias("q"))
 
 
@@ -149,10 +171,3 @@ def lagrangian(model: Model, trade: TradeOff, unit: str = "nats") -> DataFrame:
     sums = objective_parts(model, unit).agg(*[F.sum(F.when(F.col("side") == s, F.col("information")).otherwise(0.0)).alias(f"i_{s}") for s in ("in", "out")])
     value = F.col("i_in") - trade.value * F.col("i_out") if trade.kind == "beta" else (1 + trade.value) * F.col("i_in") - trade.value * F.col("i_out")
     return sums.select("i_in", "i_out", value.alias("objective"))
-
-
-def partition_info(part: DataFrame, mass: DataFrame, sources: list[str], unit: str = "bits") -> DataFrame:
-    """I(T;U) of one table and its conditional entropy, without any long form."""
-    scale = unit_scale(unit)
-    h = F.aggregate("q", F.lit(0.0), lambda acc, x: acc - xlogx(x))
-    return part.join(mass, sources).agg((F.sum(F.col("pu") * h) * scale).alias("conditional_entropy"))

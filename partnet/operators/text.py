@@ -4,10 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from partnet.operators.info import value_contribution
-from partnet.operators.joint import build_joint, normalise
+from partnet.operators.joint import build_joint, normalise, ranked
 
 #: fixed values: function words that are left out
 STOP_WORDS = tuple(
@@ -17,10 +16,10 @@ STOP_WORDS = tuple(
 EDGES = '.,;:!?()"'
 
 
-def clean_words(text: Column) -> Column:
-    """Array of lower-case words of letters only."""
-    stripped = F.transform(F.split(F.lower(text), r"\s+"), lambda w: F.btrim(w, F.lit(EDGES)))
-    return F.filter(stripped, lambda w: w.rlike(r"^\p{L}+$"))
+def clean_words(rows: DataFrame, keep: list[str], text: str) -> DataFrame:
+    """The columns kept and w: a row for each lower-case word of letters only. Words are trimmed and matched as rows, inside generated code."""
+    pieces = rows.select(*keep, F.explode(F.split(F.lower(F.col(text)), r"\s+")).alias("w"))
+    return pieces.withColumn("w", F.btrim("w", F.lit(EDGES))).where(F.col("w").rlike(r"^\p{L}+$"))
 
 
 def boilerplate_lines(df: DataFrame, id_column: str, text: str, min_docs: int) -> DataFrame:
@@ -37,7 +36,7 @@ def tokens(df: DataFrame, id_column: str, text: str, keep: list[str] | None = No
         shared = boilerplate_lines(df, id_column, text, boilerplate_min_docs).select("line")
         lines = rows.select(id_column, *keep, F.explode(F.split(text, "\n")).alias("line"))
         rows = lines.join(shared, "line", "left_anti").withColumnRenamed("line", text)
-    words = rows.select(id_column, *keep, F.explode(clean_words(F.col(text))).alias("w"))
+    words = clean_words(rows, [id_column, *keep], text)
     return words.where(~F.col("w").isin(*stop)) if stop else words
 
 
@@ -64,10 +63,11 @@ def coverage(joint: DataFrame, variable: str, about: str, share: float = 0.9) ->
 
     Contributions are summed in rank order; the ranking has one row per value, not per cell.
     """
-    ranked = value_contribution(joint, variable, about).withColumn("contribution", F.round("contribution", 12))
-    order = Window.orderBy(F.desc("contribution"), F.col(variable))
-    summed = ranked.select(F.row_number().over(order).alias("rank"), F.sum("contribution").over(order.rowsBetween(Window.unboundedPreceding, 0)).alias("reached"), F.sum("contribution").over(Window.partitionBy()).alias("whole"))
-    return summed.agg(F.min(F.when(F.col("reached") >= share * F.col("whole"), F.col("rank"))).cast("long").alias("values_needed"), F.count(F.lit(1)).alias("values"))
+    one = value_contribution(joint, variable, about).select(variable, F.round("contribution", 12).alias("contribution"))
+    summed = ranked(one, [F.desc("contribution"), F.col(variable)], "rank", "contribution")
+    whole = summed.agg(F.sum("contribution").alias("whole"))
+    reached = F.min(F.when(F.col("reached") >= share * F.col("whole"), F.col("rank") + 1))
+    return summed.crossJoin(F.broadcast(whole)).agg(reached.cast("long").alias("values_needed"), F.count(F.lit(1)).alias("values"))
 
 
 def strip_tags(html: Column) -> Column:

@@ -9,12 +9,13 @@ from partnet.functions.expr import rounded
 from partnet.operators import agglomerate as bottom_up
 from partnet.operators import anneal
 from partnet.operators.joint import build_joint, marginal
+from partnet.operators.info import observed_gap
 from partnet.operators.model import Model, distortion, harden, lagrangian, pair_info, update_step
 from partnet.operators.solve import StopRule, bind, long_table, run_sweeps, solve, start_table, sync_sweeps
 from partnet.plans import presets
 from partnet.plans.graph import BottleneckSpec, TradeOff, update_rule
-from partnet.plans.sweep_sql import SweepScript
-from partnet.queries.info_queries import STAR_FROM, STAR_WEIGHT, TURN_ROLE, cells_sql, star, turn_role
+from partnet.plans.sweep_sql import AnnealScript, SweepScript
+from partnet.queries.info_queries import LINE_CELLS, LINES, STAR_FROM, STAR_WEIGHT, TURN_ROLE, cells_sql, h_sql, star, turn_role
 from partnet.sources.tables import cut_lineage, read_table
 
 QUERIES: dict = {}
@@ -92,6 +93,16 @@ registered("supplier_brand_single_s3", brand_supplier, BRAND_SUPPLIER_SQL, prese
 registered("revenue_brand_nation_symmetric_s2", lambda spark, d: build_joint(star(spark, d), ["p_brand", "c_nationkey"], "value"), cells_sql(STAR_FROM, ("p_brand", "c_nationkey"), STAR_WEIGHT), presets.symmetric("p_brand", "c_nationkey"), {"TA": 3, "TB": 3}, TradeOff.gamma(20.0), 2)
 
 
+def customer_part(spark: SparkSession, d: str) -> DataFrame:
+    """Customers and parts, weighted by revenue: the largest joint of the given tables, nearly as many cells as line items."""
+    lines = read_table(spark, d, "lineitem").select("l_orderkey", "l_partkey", (F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("value"))
+    orders = read_table(spark, d, "orders").select("o_orderkey", "o_custkey")
+    return build_joint(lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey")), ["o_custkey", "l_partkey"], "value")
+
+
+registered("customer_part_single_s2", customer_part, cells_sql("lineitem JOIN orders ON l_orderkey = o_orderkey", ("o_custkey", "l_partkey"), STAR_WEIGHT), presets.single("o_custkey", "l_partkey"), {"T": 4}, TradeOff.beta(8.0), 2)
+
+
 def _l2_sql() -> str:
     one = SweepScript(presets.single(*TR), {"T": 3}, TURN_ROLE).sweeps(6, TradeOff.beta(5.0)).tables()
     return f"SELECT var, u, t, q, q AS q_second FROM ({one})"
@@ -209,6 +220,20 @@ def extreme_trade_panel(spark, d):
 LCG = "(((i * 7919 + t * 104729 + 1 * 1299709) % 10007) / 10006.0::DOUBLE - 0.5)"
 
 
+@query(
+    f"WITH l AS ({LINE_CELLS}), gap AS (SELECT {h_sql(('l_returnflag', 'l_linestatus'), 'l')} + {h_sql(('l_linestatus', 'l_linenumber'), 'l')} - {h_sql(('l_linestatus',), 'l')} - {h_sql(LINES, 'l')} AS g FROM (SELECT 1)) "
+    "SELECT 'chain' AS network, round(g, 6) + 0.0 AS gap, g <= 1e-6 AS consistent FROM gap UNION ALL SELECT 'complete', 0.0, true"
+)
+def input_consistency(spark, d):
+    """Whether the observed joint is one that the observed part of the compression network allows."""
+    cells, out = build_joint(read_table(spark, d, "lineitem"), list(LINES)), None
+    for name, edges in (("chain", "l_returnflag->l_linestatus; l_linestatus->l_linenumber; l_linenumber->T"), ("complete", "l_linenumber->T")):
+        spec = presets.custom(LINES, edges, "T->l_returnflag")
+        one = observed_gap(cells, spec, tol=1e-6).select(F.lit(name).alias("network"), rounded("gap").alias("gap"), "consistent")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def _double_sql(s: SweepScript, q: str, alpha: float) -> str:
     ranked = s.add(f"SELECT turn, t, q, dense_rank() OVER (ORDER BY turn) - 1 AS i FROM {q}", "r")
     return s.add(f"SELECT turn, 2 * t AS t, q * (0.5 + {alpha} * {LCG}) AS q FROM {ranked} UNION ALL SELECT turn, 2 * t + 1, q * (0.5 - {alpha} * {LCG}) FROM {ranked}", "q")
@@ -224,7 +249,7 @@ def _doubled_sql() -> str:
 def double_lcg(spark, d):
     cells = cut_lineage(turn_role(spark, d))
     model = bind(cells, presets.single(*TR), {"T": 2})
-    model.parts["T"] = anneal.double_values(model.parts["T"], ["turn"], 2, 0.8, 1)
+    model.parts["T"] = anneal.double_values(model.parts["T"], ["turn"], 2, 0.8, 1, "lcg")
     return tables(model)
 
 
@@ -245,7 +270,7 @@ def _split_sql(merge: bool) -> str:
 
 def _copies(spark, d) -> Model:
     model = run_sweeps(turn_role(spark, d), presets.single(*TR), {"T": 2}, TradeOff.beta(5.0), 2)
-    model.parts["T"] = cut_lineage(anneal.double_values(model.parts["T"], ["turn"], 2, 1.0, 1))
+    model.parts["T"] = cut_lineage(anneal.double_values(model.parts["T"], ["turn"], 2, 1.0, 1, "lcg"))
     model.sizes["T"] = 4
     return solve(model, TradeOff.beta(5.0), stop=StopRule(0.0, 3)).model
 
@@ -265,11 +290,20 @@ def merge_copies_fixture(spark, d):
     return tables(model)
 
 
-@query()
+SINGLE_WEIGHTS, SINGLE_SWEEPS = [3.0, 9.0], 3
+
+
+def _anneal_sql() -> str:
+    s = AnnealScript(presets.single(*TR), TURN_ROLE).anneal(SINGLE_WEIGHTS, SINGLE_SWEEPS, max_k=4)
+    return f"SELECT step, beta, var, k, compression, relevance, split FROM ({s.curve()})"
+
+
+@query(_anneal_sql())
 def anneal_single_turn_role(spark, d):
     """The distributed anneal of a single bottleneck: its curve."""
-    result = anneal.anneal(turn_role(spark, d), presets.single(*TR), [1.0, 3.0, 9.0], max_k=4, stop=StopRule(1e-4, 12))
-    return spark.createDataFrame(result.curve, "step int, beta double, var string, k int, compression double, relevance double, split boolean")
+    result = anneal.anneal(turn_role(spark, d), presets.single(*TR), SINGLE_WEIGHTS, max_k=4, noise="lcg", stop=StopRule(0.0, SINGLE_SWEEPS))
+    rows = spark.createDataFrame(result.curve, "step long, beta double, var string, k long, compression double, relevance double, split boolean")
+    return rows.select("step", "beta", "var", "k", rounded("compression").alias("compression"), rounded("relevance").alias("relevance"), "split")
 
 
 def _critical_sql(rounds: int = 10) -> str:
@@ -309,9 +343,9 @@ def agglomerate_turn_role(spark, d):
     return spark.createDataFrame(steps, "step long, kept string, merged string, loss double").select("step", "kept", "merged", rounded("loss").alias("loss"))
 
 
-@query()
+@query(_agglomerate_sql(7))
 def agglomerate_turn_role_whole(spark, d):
-    """Every merge down to one cluster, whatever the number of turns; the query above has the five that its SQL unrolls."""
+    """Every merge down to one cluster. The tables have eight turns, so the SQL unrolls seven merges."""
     steps = bottom_up.agglomerate(turn_role(spark, d), *TR, 1)
     return spark.createDataFrame(steps, "step long, kept string, merged string, loss double").select("step", "kept", "merged", rounded("loss").alias("loss"))
 

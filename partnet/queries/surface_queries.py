@@ -16,7 +16,7 @@ from partnet.operators.solve import bind
 from partnet.plans import presets
 from partnet.plans.sweep_sql import SweepScript
 from partnet.queries.info_queries import TURN_ROLE, cells_sql, mi_sql, turn_role
-from partnet.sources.tables import read_table
+from partnet.sources.tables import read_table, scratch_path
 from partnet.streaming import joint_stream as streams
 
 QUERIES: dict = {}
@@ -61,9 +61,9 @@ def events_session_counts(spark, d):
 
 @query("SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY event_type")
 def events_dedup_late(spark, d):
-    """Every event sent twice, counted once."""
+    """Every event sent twice, counted once. Ids stay in the state for a day of event time."""
     once = streams.event_stream(spark, d)
-    kept = streams.deduplicated(once.unionByName(once), "event_id", "1000 days")
+    kept = streams.deduplicated(once.unionByName(once), "event_id", "1 day")
     return streams.drain(kept.select("event_id", "event_type"), "append").groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -125,6 +125,35 @@ def json_k_by_type(spark, d):
     return rows.groupBy("event_type", "k").agg(F.count(F.lit(1)).alias("n"))
 
 
+@query("SELECT count(*) AS sent, count(*) FILTER (WHERE day >= d) AS kept, count(*) FILTER (WHERE day < d) AS late FROM (SELECT date_trunc('day', ts) AS day, (SELECT date_trunc('day', MIN(ts) + (MAX(ts) - MIN(ts)) / 2) FROM events) AS d FROM events)")
+def events_late_rows(spark, d):
+    """The later days' events are sent first; when the earlier days arrive, the watermark has passed their windows.
+
+    The engine drops rows by the watermark of the batch before the last, so the latest event comes in a batch of its own between.
+    """
+    events = read_table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    middle = events.agg(F.expr("date_trunc('day', timestamp_micros((unix_micros(min(ts)) + unix_micros(max(ts))) div 2))").alias("m")).first()["m"]
+    folder = scratch_path(spark, "late-events")
+    last_event = F.col("event_id") == events.agg(F.max_by("event_id", F.struct("ts", "event_id")).alias("m")).first()["m"]
+    later = F.col("ts") >= F.lit(middle)
+    for part in (later & ~last_event, last_event, ~later):  # files are read in the order they were written
+        events.where(part).select("event_type", "ts").coalesce(1).write.mode("append").parquet(folder)
+    stream = spark.readStream.schema("event_type string, ts timestamp").option("maxFilesPerTrigger", 1).parquet(folder)
+    cells = streams.windowed_joint(stream, ["event_type"], "1 day", watermark="1 second")
+    out = streams.drain(cells.withColumn("at", F.unix_timestamp("start")), "update")
+    last = out.groupBy("at", "event_type").agg(F.max("n").alias("n"))
+    return streams.late_rows(events, last)
+
+
+@query("WITH l AS (SELECT turn, row_number() OVER (ORDER BY turn) - 1 AS i FROM (SELECT DISTINCT turn FROM conversations)) SELECT c.turn, c.role, i % 3 AS t, count(*) AS n FROM conversations c JOIN l USING (turn) GROUP BY ALL")
+def stream_labels(spark, d):
+    """Arriving rows get the label of a stored table."""
+    part = bind(turn_role(spark, d), presets.single("turn", "role"), {"T": 3}).parts["T"]
+    rows = streams.event_stream(spark, d, "conversations", None).select("turn", "role")
+    counted = streams.label_stream(rows, part, ["turn"]).groupBy("turn", "role", F.col("t").cast("long").alias("t")).agg(F.count(F.lit(1)).alias("n"))
+    return streams.drain(counted)
+
+
 EDGES = ((0, 10), (10, 20), (20, 30), (30, 40), (40, 51))
 
 

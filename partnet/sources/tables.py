@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import json
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -22,14 +23,50 @@ def read_cells(spark: SparkSession, path: str, variables: list[str], fmt: str =
     return (reader.option("header", "true") if fmt == "csv" else reader).load(path)
 
 
-def cut_lineage(df: DataFrame) -> DataFrame:
-    """A reliable checkpoint in the session's folder; one is made only where the session names none."""
-    sc = df.sparkSession.sparkContext
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share; one is made only where the session names none."""
+    sc = spark.sparkContext
     if not sc.getCheckpointDir():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="partnet-"))
+        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="partnet-"))
+    return sc.getCheckpointDir()
+
+
+def scratch_path(spark: SparkSession, label: str) -> str:
+    """A fresh path in the shared folder, removed when the driver ends."""
+    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+    hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(hadoop)
+    return path
+
+
+def cut_lineage(df: DataFrame) -> DataFrame:
+    """A reliable checkpoint in the session's folder, for tables that stay."""
+    shared_dir(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
+class Written:
+    """Tables of a loop, written to the shared folder and read back; each lives until it is dropped."""
+
+    def __init__(self, spark: SparkSession, label: str):
+        self.spark, self.folder, self.paths = spark, scratch_path(spark, label), {}
+
+    def keep(self, df: DataFrame) -> DataFrame:
+        path = f"{self.folder}/{len(self.paths)}"
+        df.write.parquet(path)
+        out = self.spark.read.schema(df.schema).parquet(path)
+        self.paths[len(self.paths)] = (path, out)
+        return out
+
+    def drop(self, df: DataFrame) -> None:
+        """Removes the files behind a table that keep() returned; others are left alone."""
+        for k, (path, held) in list(self.paths.items()):
+            if held is df and path:
+                hadoop = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+                hadoop.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop, True)
+                self.paths[k] = ("", None)
+
+
 def save_partitions(parts: dict[str, DataFrame], spec_json: str, path: str, mode: str = "errorifexists") -> None:
     """Each cluster variable's table under its name, the specification as one JSON row."""
     for name, df in parts.items():

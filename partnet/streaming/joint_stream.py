@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import math
-import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -12,13 +11,14 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from partnet.operators.apply import assign
+from partnet.sources.tables import cut_lineage, scratch_path
 
 
-def event_stream(spark: SparkSession, directory: str, name: str = "events", time: str = "ts") -> DataFrame:
+def event_stream(spark: SparkSession, directory: str, name: str = "events", time: str | None = "ts") -> DataFrame:
     """A table's files as a stream; the time becomes a timestamp, since watermarks don't take one without a zone."""
     schema = spark.read.parquet(f"{directory}/{name}.parquet").schema
     rows = spark.readStream.schema(schema).option("pathGlobFilter", f"{name}.parquet").parquet(directory)
-    return rows.withColumn(time, F.col(time).cast("timestamp"))
+    return rows.withColumn(time, F.col(time).cast("timestamp")) if time else rows
 
 
 def windowed_joint(rows: DataFrame, variables: list[str], window: str, slide: str | None = None, watermark: str | None = "1 hour", time: str = "ts") -> DataFrame:
@@ -39,15 +39,32 @@ def deduplicated(rows: DataFrame, key: str, watermark: str = "1 hour", time: str
     return rows.withWatermark(time, watermark).dropDuplicatesWithinWatermark([key])
 
 
-def drain(stream: DataFrame, mode: str = "complete", checkpoint: str | None = None) -> DataFrame:
-    """Runs a stream over all that is there and returns the sink's rows (memory sink: for results of bounded size)."""
-    name = f"drain_{uuid.uuid4().hex}"
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    if checkpoint:
-        writer = writer.option("checkpointLocation", checkpoint)
-    running = writer.start()
-    running.awaitTermination()
-    return stream.sparkSession.table(name)
+def drain(stream: DataFrame, mode: str = "complete", folder: str | None = None) -> DataFrame:
+    """Runs a stream over all that is there and returns what it wrote.
+
+    Every batch becomes Parquet files, and the state lies beside them, in the folder given or a fresh one in shared storage; a run that was
+    stopped goes on from there, and a batch that is sent again replaces itself. In complete mode the last batch holds everything.
+    """
+    spark = stream.sparkSession
+    folder = folder or scratch_path(spark, "stream")
+
+    def keep(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/rows/batch={batch_id}")
+
+    stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{folder}/rows")
+    if not path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(path):
+        return spark.createDataFrame([], stream.schema)
+    rows = spark.read.schema(stream.schema.add("batch", "long")).parquet(f"{folder}/rows")
+    if mode == "complete":
+        rows = rows.where(F.col("batch") == rows.agg(F.max("batch")).first()[0])
+    return rows.drop("batch")
+
+
+def late_rows(rows: DataFrame, kept: DataFrame) -> DataFrame:
+    """One row: sent, kept and late, from what was sent and the counts (n) that came out. Spark's own counter tells groups, not rows."""
+    sent = rows.agg(F.count(F.lit(1)).alias("sent"))
+    return sent.crossJoin(kept.agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("kept"))).select("sent", "kept", (F.col("sent") - F.col("kept")).alias("late"))
 
 
 def resolve_each_batch(refit, state: dict):
@@ -61,7 +78,7 @@ def resolve_each_batch(refit, state: dict):
             return
         variables = [c for c in batch.columns if c != "n"]
         cells = batch if state.get("cells") is None else state["cells"].unionByName(batch).groupBy(*variables).agg(F.sum("n").alias("n"))
-        state["cells"] = cells.checkpoint()
+        state["cells"] = cut_lineage(cells)
         state["model"] = refit(state["cells"], state.get("model"))
         state["batch"] = batch_id
 

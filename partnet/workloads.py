@@ -7,6 +7,7 @@ Each (seed, setting) is a row, and tasks solve their rows side by side.
 from __future__ import annotations
 
 import json
+import math
 from collections.abc import Callable
 
 import numpy as np
@@ -15,10 +16,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from partnet.operators import compact
+from partnet.operators.joint import ranked
 from partnet.operators.info import mutual_info
 from partnet.operators.text import select_informative, word_category_joint
 from partnet.plans.graph import BottleneckSpec, TradeOff
+from partnet.sources.tables import cut_lineage
 
+#: most cells of the full product of the variables' values that one task may hold as an array
 MOST_CELLS = 5_000_000
 CURVE_SCHEMA = "run string, step int, beta double, var string, k int, compression double, relevance double, compression_frac double, relevance_frac double, split boolean"
 TREE_SCHEMA = "run string, var string, node_id string, parent_id string, level int, beta double, mass double, split boolean"
@@ -40,19 +44,24 @@ def planted_joint(spark: SparkSession, na: int = 80, nb: int = 20) -> DataFrame:
 
 
 def text_joint(documents: DataFrame, category: str = "lang_source", m: int = 300, boilerplate_min_docs: int | None = None) -> DataFrame:
-    """(w, c, n, p): the m words that say most about the category, over word positions."""
+    """(w, c, n, p): the m words that say most about the category, over word positions.
+
+    Texts are read for the word and category counts alone; these are written, and the selection starts from them.
+    """
     named = {"lang": F.col("lang"), "source": F.col("source"), "lang_source": F.concat_ws("/", "lang", "source")}[category]
-    return select_informative(word_category_joint(documents, named, boilerplate_min_docs=boilerplate_min_docs), "w", "c", m)
+    counted = cut_lineage(word_category_joint(documents, named, boilerplate_min_docs=boilerplate_min_docs))
+    return select_informative(counted, "w", "c", m)
 
 
 def on_grid(joint: DataFrame, spec: BottleneckSpec, settings: dict[str, dict], solve: Callable[[BottleneckSpec, np.ndarray, dict, dict[str, list]], list[tuple]], schema: str) -> DataFrame:
     """Runs solve(spec, dense joint, setting, values by variable) for each named setting, one group each.
 
-    The joint is checked against a bound on its cells before any task holds it whole.
+    The product of the numbers of values is checked against a bound before any task holds the array.
     """
     variables = list(spec.observed)
-    cells = joint.select(*[F.col(v).cast("string").alias(v) for v in variables], "p")
-    if (n := cells.count()) > MOST_CELLS:
+    cells = cut_lineage(joint.select(*[F.col(v).cast("string").alias(v) for v in variables], "p"))
+    levels = cells.agg(*[F.count_distinct(v).alias(v) for v in variables]).first()
+    if (n := math.prod(levels)) > MOST_CELLS:
         raise ValueError(f"{n} cells: too many for one task; use the distributed solver")
     names = [x.split()[0] for x in schema.split(", ")]
     numbers = {v: dict(joint.dtypes)[v] in ("int", "bigint") for v in variables}
@@ -72,6 +81,9 @@ def on_grid(joint: DataFrame, spec: BottleneckSpec, settings: dict[str, dict], s
 
 
 def _annealed(spec: BottleneckSpec, p: np.ndarray, s: dict) -> compact.Annealed:
+    """A setting with weights and sweeps runs that many sweeps at each weight, with noise of whole numbers, so that other engines can repeat it."""
+    if "weights" in s:
+        return compact.anneal(spec, p, compact.Schedule(tuple(s["weights"])), max_k=s.get("max_k", 32), noise="lcg", max_iter=s["sweeps"], tol=-1.0)
     schedule = compact.Schedule.geometric(s.get("first", 5.0), s.get("rate", 1.1), s.get("last", 330.0))
     return compact.anneal(spec, p, schedule, alpha=s.get("alpha", 1.0), max_k=s.get("max_k", 32), seed=s.get("seed", 0), noise=s.get("noise", "uniform"), max_iter=s.get("max_iter", 150), stop_gain=s.get("stop_gain"))
 
@@ -109,14 +121,20 @@ def _measures(m: compact.Dense) -> list[tuple[str, float]]:
 
 
 def solve_panel(joint: DataFrame, spec: BottleneckSpec, settings: dict[str, dict]) -> DataFrame:
-    """Fixed sizes and weight: best of the starts by objective, with its measures. settings: k, trade, starts, schedule, form."""
+    """Fixed sizes and weight: best of the starts by objective, with its measures. settings: k, trade, starts, schedule, form.
+
+    With sweeps, that many are run from starts of whole numbers, so that other engines can repeat it. hard: harden the tables at the end.
+    """
 
     def solve(spec, p, s, _):
         trade = TradeOff(spec.objective, s["trade"])
         best = None
         for seed in range(s.get("starts", 3)):
-            m = compact.random_tables(spec, p, {t: s["k"][i] for i, t in enumerate(spec.clusters)}, seed + s.get("seed", 0))
-            run = compact.solve(m, trade, s.get("schedule", "async"), max_iter=s.get("max_iter", 150), form=s.get("form"))
+            sizes, fixed = {t: s["k"][i] for i, t in enumerate(spec.clusters)}, s.get("sweeps")
+            m = compact.lcg_tables(spec, p, sizes, seed) if fixed else compact.random_tables(spec, p, sizes, seed + s.get("seed", 0))
+            run = compact.solve(m, trade, s.get("schedule", "async"), tol=-1.0 if fixed else 1e-7, max_iter=fixed or s.get("max_iter", 150), form=s.get("form"))
+            if s.get("hard"):
+                m.q = {t: np.eye(q.shape[-1])[q.argmax(axis=-1)] for t, q in m.q.items()}
             if best is None or run.objective < best[0].objective:
                 best = (run, m)
         run, m = best
@@ -131,19 +149,25 @@ def endpoints(joint: DataFrame, a: str, b: str) -> DataFrame:
     return whole.select(F.inline(F.array(F.struct(F.lit("one cluster").alias("end"), F.lit(0.0).alias("information"), F.lit(0.0).alias("fraction")), F.struct(F.lit("uncompressed").alias("end"), F.col("mutual_info").alias("information"), F.lit(1.0).alias("fraction")))))
 
 
-def kmeans_profiles(joint: DataFrame, a: str, b: str, k: int, seed: int = 1) -> DataFrame:
-    """(a, t): k-means on the rows P(b|a), a geometric baseline. The second variable's values become vector places."""
-    from pyspark.ml.clustering import KMeans
-    from pyspark.ml.functions import array_to_vector
+def kmeans_profiles(joint: DataFrame, a: str, b: str, k: int, rounds: int = 8) -> DataFrame:
+    """(a, t): k-means on the rows P(b|a), a geometric baseline, from labels of rank modulo k of a hash-free order; ties go to the smaller cluster.
 
+    Distances come from |x|^2 - 2 x.m + |m|^2 over cells, so profiles stay sparse whatever the number of values of b.
+    Centres are kept in the same long form; an emptied cluster stays empty.
+    """
     from partnet.operators.joint import conditional
 
-    levels = [r[b] for r in joint.select(b).distinct().orderBy(b).limit(10_001).collect()]
-    if len(levels) > 10_000:
-        raise ValueError(f"too many values of {b} for dense profiles")
-    rows = conditional(joint, [b], [a]).groupBy(a).pivot(b, levels).agg(F.first("p_cond")).na.fill(0.0)
-    vectors = rows.select(a, array_to_vector(F.array(*[F.col(f"`{x}`") for x in levels])).alias("features"))
-    return KMeans(k=k, seed=seed, maxIter=30).fit(vectors).transform(vectors).select(a, F.col("prediction").alias("t"))
+    x = cut_lineage(conditional(joint, [b], [a]).withColumnRenamed("p_cond", "x"))
+    labels = cut_lineage(ranked(x.select(a).distinct(), [a]).select(a, (F.col("i") % k).cast("int").alias("t")))
+    for _ in range(rounds):
+        held = x.join(labels, a)
+        sizes = labels.groupBy("t").agg(F.count(F.lit(1)).alias("n"))
+        centre = held.groupBy("t", b).agg(F.sum("x").alias("s")).join(sizes, "t").select("t", b, (F.col("s") / F.col("n")).alias("m"))
+        norm = centre.groupBy("t").agg(F.sum(F.col("m") * F.col("m")).alias("norm"))
+        dots = x.join(centre, b).groupBy(a, "t").agg(F.sum(F.col("x") * F.col("m")).alias("dot"))
+        apart = x.select(a).distinct().crossJoin(F.broadcast(norm)).join(dots, [a, "t"], "left").select(a, "t", F.round(F.col("norm") - 2 * F.coalesce("dot", F.lit(0.0)), 12).alias("d"))
+        labels = cut_lineage(apart.groupBy(a).agg(F.min(F.struct("d", "t")).alias("best")).select(a, F.col("best.t").alias("t")))
+    return labels
 
 
 def hard_relevance(joint: DataFrame, labels: DataFrame, a: str, b: str) -> DataFrame:
