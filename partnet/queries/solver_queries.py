@@ -116,6 +116,43 @@ def single_l2_equals_l1(spark, d):
     return first.join(second.withColumnRenamed("q", "q_second"), ["var", "u", "t"])
 
 
+def _rescaled_sql() -> str:
+    one = SweepScript(presets.single(*TR), {"T": 3}, TURN_ROLE).sweeps(4, TradeOff.beta(4.0)).tables()
+    return f"SELECT var, u, t, q, q AS q_second, q AS q_third FROM ({one})"
+
+
+@query(_rescaled_sql())
+def rescaled_trades(spark, d):
+    """The plain single bottleneck at 4, the first objective with the source as a goal at 0.8, and the second objective without it: the same tables."""
+    cells, out = turn_role(spark, d), None
+    for name, spec, weight in (("q", presets.single(*TR), 4.0), ("q_second", presets.single(*TR, target="b"), 0.8), ("q_third", presets.single(*TR), presets.rescaled_trade("b", "beta", 0.8))):
+        one = tables(run_sweeps(cells, spec, {"T": 3}, TradeOff.beta(weight), 4)).withColumnRenamed("q", name)
+        out = one if out is None else out.join(one, ["var", "u", "t"])
+    return out
+
+
+STOP_TOL = 0.045
+
+
+def _stop_sql(most: int = 12) -> str:
+    """Every sweep's largest move, up to the first below the tolerance."""
+    s, rows = SweepScript(presets.single(*TR), {"T": 3}, TURN_ROLE), []
+    for sweep in range(1, most + 1):
+        before = s.current["T"]
+        s.sweeps(1, TradeOff.beta(5.0))
+        rows.append(f"SELECT {sweep}::BIGINT AS sweep, MAX(abs(x.q - y.q)) AS moved FROM {before} x JOIN {s.current['T']} y USING (turn, t)")
+    every = s.add(" UNION ALL ".join(rows), "moves")
+    return s.ending(f"SELECT sweep, round(moved, 6) AS moved FROM {every} WHERE sweep <= coalesce((SELECT MIN(sweep) FROM {every} WHERE moved <= {STOP_TOL}), {most})")
+
+
+@query(_stop_sql())
+def stop_rule_trace(spark, d):
+    """The largest move of each sweep until the stop rule holds."""
+    found = solve(bind(cut_lineage(turn_role(spark, d)), presets.single(*TR), {"T": 3}), TradeOff.beta(5.0), stop=StopRule(STOP_TOL, 12))
+    rows = spark.createDataFrame([(sweep, delta) for sweep, _, _, delta in found.trace], "sweep long, moved double")
+    return rows.select("sweep", F.round("moved", 6).alias("moved"))
+
+
 def _closed_parallel_sql() -> str:
     """The distortion of the parallel form written out: sum over t2 of q2(t2|a) KL(P(b|a) || P(b|t1,t2)), less its value at t1 = 0."""
     s = SweepScript(presets.parallel(*TR), {"T1": 2, "T2": 3}, TURN_ROLE)

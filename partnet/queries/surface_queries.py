@@ -10,8 +10,8 @@ from partnet.functions import sql as sql_functions
 from partnet.functions.expr import rounded, softmax
 from partnet.operators.apply import membership_map as shares
 from partnet.operators.apply import memberships
-from partnet.operators.info import mi_panel_row
-from partnet.operators.joint import build_joint
+from partnet.operators.info import mi_panel_row, mutual_info
+from partnet.operators.joint import build_joint, encode, normalise
 from partnet.operators.solve import bind
 from partnet.plans import presets
 from partnet.plans.sweep_sql import SweepScript
@@ -215,10 +215,48 @@ def custnation_suppnation_mi(spark, d):
     f"j AS ({cells_sql('(SELECT label, dim * 2 + CASE WHEN v >= 0 THEN 1 ELSE 0 END AS cell FROM x)', ('label', 'cell'))}) SELECT round({mi_sql(('label',), ('cell',))}, 6) + 0.0 AS mutual_info"
 )
 def embedding_sign_mi(spark, d):
-    from partnet.operators.info import mutual_info
-
     rows = read_table(spark, d, "embeddings").select("label", F.posexplode("embedding").alias("i", "v"))
     cells = build_joint(rows.select("label", ((F.col("i") + 1) * 2 + F.when(F.col("v") >= 0, 1).otherwise(0)).alias("cell")), ["label", "cell"])
     return mutual_info(cells, ["label"], ["cell"]).select(rounded("mutual_info").alias("mutual_info"))
 
 
+
+
+@query(
+    "WITH n AS (SELECT event_type, user_id, count(*) AS n FROM events GROUP BY ALL) SELECT event_type, user_id, n, CAST(ntile(4) OVER o AS BIGINT) AS quarter, round(percent_rank() OVER (PARTITION BY event_type ORDER BY n), 6) AS share_below, coalesce(n - lag(n) OVER o, 0) AS step "
+    "FROM n WINDOW o AS (PARTITION BY event_type ORDER BY n, user_id)"
+)
+def window_panel(spark, d):
+    """Users in quarters by their events of a type, with the share of users below and the step from the one before."""
+    counts = read_table(spark, d, "events").groupBy("event_type", "user_id").agg(F.count(F.lit(1)).alias("n"))
+    order = Window.partitionBy("event_type").orderBy("n", "user_id")
+    below = F.percent_rank().over(Window.partitionBy("event_type").orderBy("n"))
+    return counts.select("event_type", "user_id", "n", F.ntile(4).over(order).cast("long").alias("quarter"), F.round(below, 6).alias("share_below"), F.coalesce(F.col("n") - F.lag("n").over(order), F.lit(0)).alias("step"))
+
+
+@query("WITH j AS (" + TURN_ROLE + ") SELECT dense_rank() OVER (ORDER BY turn) - 1 AS turn, dense_rank() OVER (ORDER BY role) - 1 AS role, round(p, 9) AS p FROM j")
+def encoded_joint(spark, d):
+    """A joint of whole-number codes in the order of the values."""
+    coded, _ = encode(turn_role(spark, d), ["turn", "role"])
+    return coded.select(F.col("turn").cast("long").alias("turn"), F.col("role").cast("long").alias("role"), F.round("p", 9).alias("p"))
+
+
+@query(f"WITH j AS ({cells_sql('events', ('event_type', 'user_id'))}) SELECT 3::BIGINT AS batches, CAST((SELECT SUM(n) FROM j) AS BIGINT) AS n, round({mi_sql(('event_type',), ('user_id',))}, 6) + 0.0 AS mutual_info")
+def events_incremental(spark, d):
+    """Counts added up batch by batch, with the measure taken anew after each."""
+    events, folder = read_table(spark, d, "events").select("event_type", "user_id", "event_id"), scratch_path(spark, "event-parts")
+    for k in range(3):
+        events.where(F.pmod("event_id", F.lit(3)) == k).select("event_type", "user_id").coalesce(1).write.mode("append").parquet(folder)
+    state: dict = {}
+
+    def refit(cells, previous):
+        one = mutual_info(normalise(cells), ["event_type"], ["user_id"]).first()["mutual_info"]
+        return {"batches": (previous or {"batches": 0})["batches"] + 1, "mutual_info": one}
+
+    step = streams.resolve_each_batch(refit, state)
+    kinds = ", ".join(f"{c} {t}" for c, t in events.select("event_type", "user_id").dtypes)
+    rows = spark.readStream.schema(kinds).option("maxFilesPerTrigger", 1).parquet(folder)
+    counted = lambda batch, i: step(batch.groupBy("event_type", "user_id").agg(F.count(F.lit(1)).alias("n")), i)
+    rows.writeStream.foreachBatch(counted).option("checkpointLocation", scratch_path(spark, "event-state")).trigger(availableNow=True).start().awaitTermination()
+    total = state["cells"].agg(F.sum("n").alias("n"))
+    return total.select(F.lit(state["model"]["batches"]).cast("long").alias("batches"), "n", rounded(F.lit(state["model"]["mutual_info"])).alias("mutual_info"))

@@ -16,7 +16,7 @@ from partnet.plans import presets
 from partnet.plans.graph import BottleneckSpec, TradeOff
 from partnet.plans.sweep_sql import AnnealScript, LcgScript, SweepScript
 from partnet.queries.info_queries import TURN_ROLE, WORDS_SQL, cells_sql, mi_sql, turn_role
-from partnet.sources.tables import cut_lineage, read_table
+from partnet.sources.tables import cut_lineage, read_table, scratch_path
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -240,6 +240,15 @@ def anneal_planted_curve(spark, d):
     return as_curve(workloads.anneal_curves(planted(spark), PAIR, {"fixed": PLANTED_FIXED}))
 
 
+@query(f"SELECT var, count(*) AS nodes, round(SUM(mass), 6) AS mass FROM ({script(PAIR, PLANTED_SQL, PLANTED_FIXED).tree()}) WHERE level = 1 GROUP BY var")
+def tree_by_level(spark, d):
+    """The tree written in folders by level; reading one level opens one folder."""
+    path = scratch_path(spark, "tree")
+    workloads.anneal_trees(planted(spark), PAIR, {"fixed": PLANTED_FIXED}).write.partitionBy("level").parquet(path)
+    level = spark.read.parquet(path).where("level = 1")
+    return level.groupBy("var").agg(F.count(F.lit(1)).alias("nodes"), F.round(F.sum(F.round("mass", 6)), 6).alias("mass"))
+
+
 @query()
 def anneal_planted_runs(spark, d):
     return workloads.anneal_curves(planted(spark), PAIR, PLANTED_RUNS)
