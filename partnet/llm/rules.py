@@ -150,8 +150,8 @@ def plan_order(tried: list[tuple[str, int, int, int]]) -> list[dict]:
 
 
 def sample_trials(documents: DataFrame, rules: tuple[Rule, ...], planning_rows: int) -> list[tuple[str, int, int, int]]:
-    """trials() over the texts of the planning_rows ids whose hashes are least; texts are measured where they are."""
-    drawn = documents.select("doc_id").where("doc_id IS NOT NULL").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(planning_rows)
+    """trials() over the texts of the planning_rows rows whose ids' hashes are least, one for each id; texts are measured where they are."""
+    drawn = documents.select("doc_id").where("doc_id IS NOT NULL").orderBy(F.xxhash64("doc_id"), "doc_id").limit(planning_rows).distinct()
     texts = documents.select("doc_id", "text").join(F.broadcast(drawn), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
