@@ -47,7 +47,7 @@ CELL_BITS = 16
 SMALL = 32
 STAR_ROUNDS = 2
 UNIT_BLOCK = 512
-WORD_CACHE = 200_000
+WORD_CACHE = 40_000
 FACTOR = np.uint64(0x9E3779B97F4A7C15)
 
 

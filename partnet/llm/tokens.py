@@ -63,7 +63,6 @@ class MemoEncoder:
         self.tokenizer.encode_special_tokens = True  # pieces that are lower-cased here may come to look like such a string
         added = [] if strings_as_text else [x.content for x in self.tokenizer.get_added_tokens_decoder().values()]
         self.names_token = re.compile("|".join(map(re.escape, added))).search if added else lambda text: None
-        self.untouched = Tokenizer.from_file(path)
         self.limit = limit
         #: pieces between spaces, of texts that are not plain
         self.known: dict[str, bytes] = {}
@@ -84,6 +83,13 @@ class MemoEncoder:
         for token, i in vocabulary.items():
             self.token_chars[i], self.ends_word[i] = len(token), token.endswith(WORD_END)
 
+    def with_special(self, texts: list[str]) -> list[bytes]:
+        """Whole texts, special tokens' strings as those tokens."""
+        self.tokenizer.encode_special_tokens = False
+        made = [pack(x.ids) for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)] if texts else []
+        self.tokenizer.encode_special_tokens = True
+        return made
+
     def forget(self) -> None:
         """Gives the caches' memory back; workers live on after a stage."""
         self.known, self.older, self.bare = {}, {}, {}
@@ -164,7 +170,7 @@ class MemoEncoder:
             return self.plain(texts)
         out, others = [b""] * len(texts), {*whole, *odd}
         rest = [i for i in range(len(texts)) if i not in others]
-        for own, made in ((whole, [pack(x.ids) for x in self.untouched.encode_batch_fast([texts[i] for i in whole], add_special_tokens=False)]), (odd, self.pieces([texts[i] for i in odd])), (rest, self.plain([texts[i] for i in rest]))):
+        for own, made in ((whole, self.with_special([texts[i] for i in whole])), (odd, self.pieces([texts[i] for i in odd])), (rest, self.plain([texts[i] for i in rest]))):
             for i, ids in zip(own, made, strict=True):
                 out[i] = ids
         return out
