@@ -12,7 +12,7 @@ from partnet.operators.apply import membership_map as shares
 from partnet.operators.apply import memberships
 from partnet.operators.info import mi_panel_row, mutual_info
 from partnet.operators.joint import build_joint, encode, normalise
-from partnet.operators.solve import bind
+from partnet.operators.solve import bind, start_table
 from partnet.plans import presets
 from partnet.plans.sweep_sql import SweepScript
 from partnet.queries.info_queries import TURN_ROLE, cells_sql, mi_sql, turn_role
@@ -147,9 +147,9 @@ def events_late_rows(spark, d):
 
 @query("WITH l AS (SELECT turn, row_number() OVER (ORDER BY turn) - 1 AS i FROM (SELECT DISTINCT turn FROM conversations)) SELECT c.turn, c.role, i % 3 AS t, count(*) AS n FROM conversations c JOIN l USING (turn) GROUP BY ALL")
 def stream_labels(spark, d):
-    """Arriving rows get the label of a stored table."""
-    part = bind(turn_role(spark, d), presets.single("turn", "role"), {"T": 3}).parts["T"]
-    rows = streams.event_stream(spark, d, "conversations", None).select("turn", "role")
+    """Arriving rows get the label of a stored table, which has every turn, also one whose roles are all null. Rows without a turn have no label and stay out."""
+    part = start_table(build_joint(read_table(spark, d, "conversations"), ["turn"]), ["turn"], 3)
+    rows = streams.event_stream(spark, d, "conversations", None).select("turn", "role").where("turn IS NOT NULL")
     counted = streams.label_stream(rows, part, ["turn"]).groupBy("turn", "role", F.col("t").cast("long").alias("t")).agg(F.count(F.lit(1)).alias("n"))
     return streams.drain(counted)
 

@@ -15,9 +15,9 @@ from partnet.sources.tables import cut_lineage, scratch_path
 
 
 def event_stream(spark: SparkSession, directory: str, name: str = "events", time: str | None = "ts") -> DataFrame:
-    """A table's files as a stream; the time becomes a timestamp, since watermarks don't take one without a zone."""
+    """A table as a stream, whether it is one file or a folder of them; the time becomes a timestamp, since watermarks don't take one without a zone."""
     schema = spark.read.parquet(f"{directory}/{name}.parquet").schema
-    rows = spark.readStream.schema(schema).option("pathGlobFilter", f"{name}.parquet").parquet(directory)
+    rows = spark.readStream.schema(schema).parquet(f"{directory}/{name}.parque[t]")  # a stream takes a single file from a pattern only
     return rows.withColumn(time, F.col(time).cast("timestamp")) if time else rows
 
 
