@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -47,8 +48,43 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def map_rows(df: DataFrame, start: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch | None]], schema: str) -> DataFrame:
-    """mapInArrow with per-task state: start() makes the batch function once per task; its attribute finish, if any, is called last."""
+#: what a worker process keeps from task to task, such as a tokenizer
+KEPT: dict[str, object] = {}
+
+
+def kept(name: str, make: Callable[[str], object]) -> object:
+    """make(name), once in a worker process for as long as its tasks are those that keep things."""
+    if name not in KEPT:
+        KEPT[name] = make(name)
+    return KEPT[name]
+
+
+def drop_kept() -> None:
+    KEPT.clear()
+
+
+def give_back() -> None:
+    """Freed memory goes back to the system. Workers live on after a stage, and their free memory counts for the stages that follow."""
+    pa.default_memory_pool().release_unused()
+    getattr(ctypes.CDLL(None), "malloc_trim", lambda _: 0)(0)
+
+
+def tidy(run: Callable[[Iterator], Iterator], keeps: bool = False) -> Callable[[Iterator], Iterator]:
+    """The Python step of a task. Unless it keeps things itself, what the worker kept from other steps goes before it starts."""
+
+    def whole(batches: Iterator) -> Iterator:
+        if not keeps:
+            drop_kept()
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return whole
+
+
+def map_rows(df: DataFrame, start: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch | None]], schema: str, keeps: bool = False) -> DataFrame:
+    """mapInArrow with per-task state: start() makes the batch function once per task; its attribute finish, if any, is called last. keeps: start() uses kept()."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         step = start()
@@ -58,7 +94,7 @@ def map_rows(df: DataFrame, start: Callable[[], Callable[[pa.RecordBatch], pa.Re
                     yield out
         getattr(step, "finish", lambda: None)()
 
-    return df.mapInArrow(run, schema)
+    return df.mapInArrow(tidy(run, keeps), schema)
 
 
 def fresh_name(name: str, columns: list[str]) -> str:

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from partnet.llm.common import materialize
+from partnet.llm.common import materialize, tidy
 
 CHUNK = 200_000
 
@@ -71,11 +71,11 @@ def hang(edges: DataFrame, larger: bool) -> DataFrame:
 def components(edges: DataFrame, label: str = "components", most_rounds: int = 60) -> DataFrame:
     """(u, v) pairs of longs, in either order, to (node, root): root is the component's smallest node; roots themselves have no row."""
     forest = edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where(F.col("u") > F.col("v"))
-    now = materialize(forest.mapInArrow(local_forest, "u long, v long").distinct(), label)
+    now = materialize(forest.mapInArrow(tidy(local_forest), "u long, v long").distinct(), label)
     for _ in range(most_rounds):
         tops = now.groupBy("u").agg(F.count(F.lit(1)).alias("n"))
         open_ends = tops.where("n > 1").select("u").unionAll(now.join(tops.select(F.col("u").alias("v")), "v", "left_semi").select("v")).limit(1)
         if not open_ends.take(1):
             return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
-        now = materialize(hang(hang(now, True), False).mapInArrow(local_forest, "u long, v long").distinct(), label)
+        now = materialize(hang(hang(now, True), False).mapInArrow(tidy(local_forest), "u long, v long").distinct(), label)
     raise RuntimeError(f"components did not settle in {most_rounds} rounds")

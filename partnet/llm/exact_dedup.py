@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from partnet.llm.bloom import concerned, one_row_each
-from partnet.llm.common import SPACE_PATTERN, materialize
+from partnet.llm.common import SPACE_PATTERN, materialize, tidy
 
 NO_ID = 1 << 63  # above every id
 TRIE_BYTES = 24 << 20
@@ -222,10 +222,10 @@ def normalised(text) -> F.Column:
 def trie_owners(documents: DataFrame, trie_bytes: int = TRIE_BYTES, owner_bytes: int = OWNER_BYTES) -> DataFrame:
     """One row per distinct text: digest (sha256 of the normalised text), content_hash, keep_id, n_least (rows with that id), group_size."""
     bodies = documents.select(F.col("doc_id").cast("long").alias("doc_id"), normalised(F.col("text")).alias("body"))
-    dealt = bodies.mapInArrow(map_side(trie_bytes), LOCAL_SCHEMA).repartition(F.octet_length("body"), F.xxhash64("body"))
+    dealt = bodies.mapInArrow(tidy(map_side(trie_bytes)), LOCAL_SCHEMA).repartition(F.octet_length("body"), F.xxhash64("body"))
     done, names = None, [x.split()[0] for x in OWNER_SCHEMA.split(", ")[1:]]
     while True:
-        out = materialize(dealt.mapInArrow(owner_side(owner_bytes), OWNER_SCHEMA), "trie-owners")
+        out = materialize(dealt.mapInArrow(tidy(owner_side(owner_bytes)), OWNER_SCHEMA), "trie-owners")
         finished = out.where("body IS NULL").select(*names)
         done = finished if done is None else done.unionAll(finished)
         left = out.where("body IS NOT NULL").select("body", "keep_id", "n_least", "group_size")

@@ -105,7 +105,7 @@ def tokenised_pieces(documents: DataFrame, tokenizer_path: str, end_id: int = 0,
         step.finish = made.forget
         return step
 
-    return map_rows(documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), start, PIECE_SCHEMA)
+    return map_rows(documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), start, PIECE_SCHEMA, keeps=True)
 
 
 def best_fit_pack(documents: DataFrame, tokenizer_path: str, end_id: int = 0, capacity: int = CAPACITY) -> DataFrame:

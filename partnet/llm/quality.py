@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from partnet.llm.common import map_rows
+from partnet.llm.common import drop_kept, give_back, map_rows, tidy
 
 TOKENS = re.compile(r"\w+|[^\w\s]+").findall
 CACHE_LIMIT = 100_000
@@ -153,7 +153,7 @@ def fit_quality(documents: DataFrame, labels: DataFrame, config: QualityConfig =
         fitted = ftrl_fit([(y, np.frombuffer(x, dtype=np.int32)) for _, x, y in rows], config)
         yield pa.RecordBatch.from_arrays([pa.array([fitted.tobytes()], pa.binary())], ["weights"])
 
-    fitted = features.repartition(1).mapInArrow(train, "weights binary").collect()
+    fitted = features.repartition(1).mapInArrow(tidy(train), "weights binary").collect()
     return np.frombuffer(bytes(fitted[0]["weights"]), dtype=np.float32) if fitted else np.zeros((1 << bits) + 1, dtype=np.float32)
 
 
@@ -169,8 +169,11 @@ def score_documents(documents: DataFrame, weights: np.ndarray, config: QualityCo
 
     @F.pandas_udf("double")
     def scored(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        drop_kept()
         hasher = NgramHasher(bits)
         for texts in parts:
             yield pd.Series([score_text(shared.value, hasher, x) for x in texts], dtype="float64")
+        hasher.seen.clear()
+        give_back()
 
     return documents.withColumn(names[0], scored("text")).withColumn(names[1], (F.col(names[0]) >= 0.5).cast("int"))

@@ -27,7 +27,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from partnet.llm.common import map_rows, texts_as_bytes
+from partnet.llm.common import map_rows, texts_as_bytes, tidy
 
 SYMBOLS = b"#*$%&|<>"
 #: from the first letter of a word to its end
@@ -159,7 +159,7 @@ def sample_trials(documents: DataFrame, rules: tuple[Rule, ...], planning_rows:
             cols = zip(*trials(texts_as_bytes(batch["text"]), rules), strict=True)
             yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["rule", "n", "rejected", "work"])
 
-    sums = texts.select("text").mapInArrow(run, "rule string, n long, rejected long, work long").groupBy("rule").agg(*[F.sum(c).alias(c) for c in ("n", "rejected", "work")]).collect()
+    sums = texts.select("text").mapInArrow(tidy(run), "rule string, n long, rejected long, work long").groupBy("rule").agg(*[F.sum(c).alias(c) for c in ("n", "rejected", "work")]).collect()
     by_name = {r["rule"]: (r["rule"], r["n"], r["rejected"], r["work"]) for r in sums}
     return [by_name.get(r.name, (r.name, 0, 0, 0)) for r in rules]
 

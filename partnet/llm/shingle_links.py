@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from partnet.llm.bloom import concerned, one_row_each
-from partnet.llm.common import STEP_ROWS, map_rows, materialize, texts_as_bytes
+from partnet.llm.common import STEP_ROWS, map_rows, materialize, texts_as_bytes, tidy
 from partnet.llm.components import components
 from partnet.llm.simhash import bit_counts, link_edges, majority_bits, plan_thresholds
 
@@ -136,7 +136,7 @@ def prints(documents: DataFrame, shingle: int = 5) -> DataFrame:
             none = [pa.nulls(cells.size, t) for t in (id_type, pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary())]
             yield pa.RecordBatch.from_arrays([*none, pa.array(cells), pa.array(total[cells])], names)
 
-    return read.mapInArrow(run, f"doc_id {kind}, h long, node long, n long, fp long, sketch binary, cell long, load long")
+    return read.mapInArrow(tidy(run), f"doc_id {kind}, h long, node long, n long, fp long, sketch binary, cell long, load long")
 
 
 def cell_loads(printed: DataFrame) -> np.ndarray:
@@ -278,7 +278,7 @@ def block_pairs(members: DataFrame, printed: DataFrame, block: int = UNIT_BLOCK)
             if u.size:
                 yield pa.RecordBatch.from_arrays([pa.array(np.minimum(u, v)), pa.array(np.maximum(u, v))], ["a", "b"])
 
-    return units.repartition("key", "unit").sortWithinPartitions("key", "unit").mapInArrow(run, "a long, b long")
+    return units.repartition("key", "unit").sortWithinPartitions("key", "unit").mapInArrow(tidy(run), "a long, b long")
 
 
 def node_roots(documents: DataFrame, printed: DataFrame, shingle: int = 5, small: int = SMALL, distance: int = 4) -> DataFrame:

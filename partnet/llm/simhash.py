@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from partnet.llm.common import map_rows, materialize, texts_as_bytes
+from partnet.llm.common import map_rows, materialize, texts_as_bytes, tidy
 from partnet.llm.components import components
 
 BITS = 64
@@ -96,7 +96,7 @@ def bit_counts(distinct: DataFrame) -> tuple[int, np.ndarray]:
             cells = pa.array(np.append(table.ravel(), n).astype(np.int64))
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(BITS * BITS + 1)), cells], ["cell", "n"])
 
-    found = distinct.select("fp").mapInArrow(count, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).collect()
+    found = distinct.select("fp").mapInArrow(tidy(count), "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).collect()
     cells = np.zeros(BITS * BITS + 1)
     for r in found:
         cells[r["cell"]] = r["n"]
@@ -286,7 +286,7 @@ def link_edges(distinct: DataFrame, plan: list[tuple[list[int], int]], distance:
         if kept[0].size:
             yield linked(kept)
 
-    return units.repartition("bucket", "unit").sortWithinPartitions("bucket", "unit").mapInArrow(run, "u long, v long")
+    return units.repartition("bucket", "unit").sortWithinPartitions("bucket", "unit").mapInArrow(tidy(run), "u long, v long")
 
 
 def near_duplicates(documents: DataFrame, shingle: int = 4, seed: int = 42, distance: int = 4, block: int = BLOCK) -> DataFrame:

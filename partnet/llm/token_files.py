@@ -59,7 +59,7 @@ def encode_rows(documents: DataFrame, tokenizer_path: str, end_id: int) -> DataF
 
         return step
 
-    return map_rows(documents.select("doc_id", "text"), start, FILE_SCHEMA)
+    return map_rows(documents.select("doc_id", "text"), start, FILE_SCHEMA, keeps=True)
 
 
 def files_for(rows: DataFrame, n_bytes: int) -> int:

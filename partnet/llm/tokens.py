@@ -17,11 +17,12 @@ from __future__ import annotations
 
 import codecs
 import re
-from functools import cache
 
 import numpy as np
 from tokenizers import Tokenizer, pre_tokenizers
 
+from partnet.llm.common import kept
+
 CACHE_LIMIT = 400_000
 PIECE_LIMIT = 100_000
 LONG_PIECE = 200
@@ -216,7 +217,6 @@ class MemoEncoder:
         return out
 
 
-@cache
 def encoder(path: str) -> MemoEncoder:
-    """One encoder for each vocabulary in a worker process."""
-    return MemoEncoder(path)
+    """One encoder for each vocabulary in a worker process, for steps that keep things."""
+    return kept(path, MemoEncoder)
